@@ -30,6 +30,7 @@ from redgraph.session import cut
 WINDOW = 10
 BLOCK_BYTES = 16 << 20
 SPANS = "array<struct<item_id:string,item_word:int,doc_word:int,length:int>>"
+COVER = "array<struct<doc_word:int,length:int>>"
 
 
 @dataclass
@@ -175,7 +176,7 @@ def search_shard(block: Block, chunk: Chunk, window: int) -> dict[str, list]:
     buf = FOLD[chunk.buf]
     starts, ends, first = Chunk(chunk.row, buf, chunk.cuts).words(ALNUM)
     n_words = np.diff(first)
-    out = {"n_words": n_words.tolist(), "n_hit": [0] * chunk.n, "items": [[] for _ in range(chunk.n)], "spans": [[] for _ in range(chunk.n)]}
+    out = {"n_words": n_words.tolist(), "n_hit": [0] * chunk.n, "items": [[] for _ in range(chunk.n)], "cover": [[] for _ in range(chunk.n)], "spans": [[] for _ in range(chunk.n)]}
     if not len(starts) or not len(block.start):
         return out
     h = word_hashes(buf, starts, ends)
@@ -192,6 +193,12 @@ def search_shard(block: Block, chunk: Chunk, window: int) -> dict[str, list]:
         ids[wrong] = 0  # equal hashes of different words: such a word is unknown to the benchmark
     hit = np.concatenate([[0], np.cumsum(cover)])
     out["n_hit"] = (hit[first[1:]] - hit[first[:-1]]).tolist()
+    opens = cover & ~np.concatenate([[False], cover[:-1]])
+    opens[first[:-1][n_words > 0]] |= cover[first[:-1][n_words > 0]]
+    opens = np.flatnonzero(opens)
+    for p, n in zip(opens.tolist(), (hit[np.append(opens[1:], len(cover))] - hit[opens]).tolist(), strict=True):
+        d = int(np.searchsorted(first, p, side="right")) - 1
+        out["cover"][d].append((int(p - first[d]), n))
     doc = np.searchsorted(first, at, side="right") - 1
     pairs = np.unique(doc * len(block.start) + query)
     doc, query = pairs // len(block.start), pairs % len(block.start)
@@ -262,7 +269,9 @@ def benchmark_blocks(benchmark: DataFrame, id_col: str, text_col: str, block_byt
 def match_benchmark(
     docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", window: int = WINDOW, block_bytes: int = BLOCK_BYTES
 ) -> DataFrame:
-    """Per training row: ``id, n_words, n_hit, items`` (sorted) and ``spans`` (longest matches).
+    """Per training row: ``id, n_words, n_hit, items`` (sorted), ``cover`` (runs of hit words) and ``spans``.
+
+    ``spans`` holds, for each benchmark suffix, its longest match and where that lies.
 
     Null or empty texts have no words and no hits; a null item id counts as the empty string; equal
     items are all listed; other columns are not read.  With several blocks a row's hit words are
@@ -270,7 +279,7 @@ def match_benchmark(
     """
     spark = docs.sparkSession
     kind = docs.schema[id_col].dataType
-    schema = T.StructType([T.StructField(id_col, kind), T.StructField("n_words", T.LongType()), T.StructField("n_hit", T.LongType()), T.StructField("items", T.ArrayType(T.StringType())), T.StructField("spans", T._parse_datatype_string(SPANS))])
+    schema = T.StructType([T.StructField(id_col, kind), T.StructField("n_words", T.LongType()), T.StructField("n_hit", T.LongType()), T.StructField("items", T.ArrayType(T.StringType())), T.StructField("cover", T._parse_datatype_string(COVER)), T.StructField("spans", T._parse_datatype_string(SPANS))])
     parts = []
     for rows in benchmark_blocks(benchmark, item_col, item_text_col, block_bytes):
         shared = spark.sparkContext.broadcast(Block.of(rows, window))
@@ -283,19 +292,20 @@ def match_benchmark(
 
 
 def _joined(parts: list[DataFrame], docs: DataFrame, id_col: str, text_col: str, window: int) -> DataFrame:
-    """Several blocks: words covered by any of them, found from the covered intervals of the spans."""
-    key = [F.col(id_col)]
+    """Several blocks (ids must then be unique): rows are joined by id; covered runs are merged, so that a word counts once."""
     every = None
     for p in parts:
         p = cut(p)
         every = p if every is None else every.unionByName(p)
-    reach = F.aggregate(
-        F.array_sort(F.flatten(F.collect_list("spans")), lambda a, b: F.when(a.doc_word < b.doc_word, -1).when(a.doc_word > b.doc_word, 1).otherwise(0)),
+    runs = F.array_sort(F.flatten(F.collect_list("cover")))
+    merged = F.aggregate(
+        runs,
         F.struct(F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("to")),
         lambda s, x: F.struct((s.n + F.greatest(F.lit(0).cast("long"), x.doc_word + x.length - F.greatest(s.to, x.doc_word.cast("long")))).alias("n"), F.greatest(s.to, (x.doc_word + x.length).cast("long")).alias("to")),
         lambda s: s.n,
     )
-    return every.groupBy(*key).agg(F.max("n_words").alias("n_words"), reach.alias("n_hit"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), F.flatten(F.collect_list("spans")).alias("spans"))
+    items = F.array_sort(F.array_distinct(F.flatten(F.collect_list("items"))))
+    return every.groupBy(id_col).agg(F.max("n_words").alias("n_words"), merged.alias("n_hit"), items.alias("items"), runs.alias("cover"), F.flatten(F.collect_list("spans")).alias("spans"))
 
 
 def _matcher(shared, window: int):
@@ -310,9 +320,10 @@ def _matcher(shared, window: int):
                 yield pa.RecordBatch.from_arrays(
                     [
                         batch.column(0).slice(chunk.row, n), pa.array(found["n_words"], pa.int64()), pa.array(found["n_hit"], pa.int64()), pa.array([sorted(x) for x in found["items"]], pa.list_(pa.string())),
+                        pa.array([[dict(zip(("doc_word", "length"), s, strict=True)) for s in x] for x in found["cover"]], pa.list_(pa.struct([("doc_word", pa.int32()), ("length", pa.int32())]))),
                         pa.array([[dict(zip(("item_id", "item_word", "doc_word", "length"), s, strict=True)) for s in x] for x in found["spans"]], pa.list_(pa.struct([("item_id", pa.string()), ("item_word", pa.int32()), ("doc_word", pa.int32()), ("length", pa.int32())]))),
                     ],
-                    names=[names[0], "n_words", "n_hit", "items", "spans"],
+                    names=[names[0], "n_words", "n_hit", "items", "cover", "spans"],
                 )
 
     return match

@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from redgraph.llm import decontamination
+from redgraph.llm import decontamination, simhash
 
 QUERIES = {
     "op1_decontamination": decontamination.op1_decontamination,
+    "op7_simhash": simhash.op7_simhash,
 }
 
 ORACLES = {
