@@ -2,13 +2,19 @@
 
 from __future__ import annotations
 
-from redgraph.llm import decontamination, simhash
+from redgraph.llm import decontamination, exact_dedup, mixing, sharding, simhash
 
 QUERIES = {
     "op1_decontamination": decontamination.op1_decontamination,
+    "op3_sharding": sharding.op3_sharding,
+    "op4_exact_dedup": exact_dedup.op4_exact_dedup,
     "op7_simhash": simhash.op7_simhash,
+    "op10_mixing": mixing.op10_mixing,
 }
 
 ORACLES = {
     "op1_decontamination": decontamination.SQL,
+    "op3_sharding": sharding.SQL,
+    "op4_exact_dedup": exact_dedup.SQL,
+    "op10_mixing": mixing.SQL,
 }
