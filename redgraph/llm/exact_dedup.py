@@ -20,6 +20,9 @@ from pyspark.sql import functions as F
 from redgraph.session import scoped, shared_dir, staged
 
 STORE = {"spark.sql.streaming.stateStore.providerClass": "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider", "spark.sql.streaming.stateStore.rocksdb.boundedMemoryUsage": "true"}
+#: Input bytes for each part of the state (some tenths of them become state), and the fewest parts.  A
+#: store reserves megabytes on disk however little it holds, so parts follow the data, not the shuffle.
+STATE_BYTES, STATE_PARTS = 16 << 30, 24
 #: Lets Spark thin out rows whose digest was seen once before their text is shuffled for the comparison.
 THIN = {
     "spark.sql.optimizer.runtime.bloomFilter.applicationSideScanSizeThreshold": "0", "spark.sql.optimizer.runtime.bloomFilter.creationSideThreshold": "4g", "spark.sql.optimizer.runtime.bloomFilter.enabled": "true",
@@ -54,13 +57,19 @@ def seen_digests(spark: SparkSession, path: str, *, id_col: str = "doc_id", text
     def emit(batch: DataFrame, number: int) -> None:
         batch.write.mode("overwrite").parquet(f"{place}/state/batch={number}")
 
-    with scoped(spark, STORE):
+    parts = max(STATE_PARTS, _size(spark, path) // STATE_BYTES)
+    with scoped(spark, STORE | {"spark.sql.streaming.internal.stateStore.partitions": str(parts)}):
         query = state.writeStream.outputMode("update").foreachBatch(emit).option("checkpointLocation", f"{place}/log").trigger(availableNow=True).start()
         query.awaitTermination()
     told = spark.read.schema(state.schema.add("batch", "long")).option("basePath", f"{place}/state").parquet(f"{place}/state") if _exists(spark, f"{place}/state") else spark.createDataFrame([], state.schema.add("batch", "long"))
     return told.groupBy("digest").agg(F.max("group_size").alias("group_size"), F.max("keep").alias("keep"))
 
 
+def _size(spark: SparkSession, path: str) -> int:
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getContentSummary(where).getLength()
+
+
 def _exists(spark: SparkSession, path: str) -> bool:
     jvm = spark.sparkContext._jvm
     where = jvm.org.apache.hadoop.fs.Path(path)
