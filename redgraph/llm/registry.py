@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from redgraph.llm import decontamination, exact_dedup, mixing, sharding, simhash
+from redgraph.llm import decontamination, exact_dedup, mixing, sharding, simhash, toxicity
 
 QUERIES = {
     "op1_decontamination": decontamination.op1_decontamination,
     "op3_sharding": sharding.op3_sharding,
     "op4_exact_dedup": exact_dedup.op4_exact_dedup,
+    "op5_toxicity": toxicity.op5_toxicity,
     "op7_simhash": simhash.op7_simhash,
     "op10_mixing": mixing.op10_mixing,
 }
