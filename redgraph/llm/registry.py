@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from redgraph.llm import decontamination, exact_dedup, mixing, sharding, simhash, toxicity
+from redgraph.llm import decontamination, exact_dedup, lm_scoring, mixing, sharding, simhash, toxicity, url_filters
 
 QUERIES = {
     "op1_decontamination": decontamination.op1_decontamination,
     "op3_sharding": sharding.op3_sharding,
     "op4_exact_dedup": exact_dedup.op4_exact_dedup,
     "op5_toxicity": toxicity.op5_toxicity,
+    "op6_url_filters": url_filters.op6_url_filters,
     "op7_simhash": simhash.op7_simhash,
+    "op8_lm_scoring": lm_scoring.op8_lm_scoring,
     "op10_mixing": mixing.op10_mixing,
 }
 
@@ -17,5 +19,7 @@ ORACLES = {
     "op1_decontamination": decontamination.SQL,
     "op3_sharding": sharding.SQL,
     "op4_exact_dedup": exact_dedup.SQL,
+    "op6_url_filters": url_filters.SQL,
+    "op8_lm_scoring": lm_scoring.SQL,
     "op10_mixing": mixing.SQL,
 }
