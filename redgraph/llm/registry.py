@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from redgraph.llm import decontamination, exact_dedup, lm_scoring, mixing, sharding, simhash, toxicity, url_filters
+from redgraph.llm import chat_repair, decontamination, exact_dedup, lm_scoring, mixing, sharding, simhash, toxicity, url_filters
 
 QUERIES = {
     "op1_decontamination": decontamination.op1_decontamination,
@@ -12,6 +12,7 @@ QUERIES = {
     "op6_url_filters": url_filters.op6_url_filters,
     "op7_simhash": simhash.op7_simhash,
     "op8_lm_scoring": lm_scoring.op8_lm_scoring,
+    "op9_chat_repair": chat_repair.op9_chat_repair,
     "op10_mixing": mixing.op10_mixing,
 }
 
