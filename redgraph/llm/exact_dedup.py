@@ -98,12 +98,15 @@ def exact_groups(spark: SparkSession, path: str, *, id_col: str = "doc_id", text
 
 
 def _unequal(rows: DataFrame, repeated: DataFrame) -> DataFrame:
-    """Hits whose bytes differ from the content at the locator of their digest; normally no rows."""
-    hits = rows.join(repeated.select("digest", "keep"), "digest")
-    first = hits.where("at.file = keep.file AND at.row = keep.row").select(F.col("digest").alias("d2"), F.col("content").alias("c2"))
-    other = hits.where("NOT (at.file = keep.file AND at.row = keep.row)")
+    """Hits whose bytes differ from the content at the locator of their digest; normally no rows.
+
+    The contents at the locators are fetched first, one row per repeated digest; the hits then meet them
+    in a join over one exchange, which Spark splits where many rows share a digest.
+    """
     with scoped(rows.sparkSession, THIN):
-        return staged(other.join(first, (F.col("digest") == F.col("d2")) & (F.col("content") != F.col("c2"))).select("digest", "at", "content"), "dedup-odd")
+        known = repeated.select(F.col("digest").alias("d2"), "keep", F.col("group_size").alias("size2"))
+        first = staged(rows.join(known, (F.col("digest") == F.col("d2")) & (F.col("at") == F.col("keep"))).select("d2", "size2", F.col("content").alias("c2")), "dedup-first")
+        return staged(rows.join(first.where("size2 > 1"), (F.col("digest") == F.col("d2")) & (F.col("content") != F.col("c2"))).select("digest", "at", "content"), "dedup-odd")
 
 
 def op4_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
