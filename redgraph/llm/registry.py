@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from redgraph.llm import chat_repair, decontamination, exact_dedup, lm_scoring, mixing, sharding, simhash, toxicity, url_filters
+from redgraph.llm import chat_repair, decontamination, exact_dedup, lm_scoring, mixing, sharding, simhash, substring_dedup, toxicity, url_filters
 
 QUERIES = {
     "op1_decontamination": decontamination.op1_decontamination,
+    "op2_substring_dedup": substring_dedup.op2_substring_dedup,
     "op3_sharding": sharding.op3_sharding,
     "op4_exact_dedup": exact_dedup.op4_exact_dedup,
     "op5_toxicity": toxicity.op5_toxicity,
