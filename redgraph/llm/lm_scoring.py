@@ -26,14 +26,14 @@ from redgraph.session import staged
 
 ORDER = 3
 BACKOFF = 0.4
-BATCH_ROWS = 4096
-_ALL_WORDS = np.uint64((1 << 64) - 1)  # stands for the number of words
+BATCH_ROWS = 2048
+_ALL_WORDS = np.uint64((1 << 64) - 1)  # stands for all n-grams together
 
 
-class _Grams:
-    """The n-grams of a batch: by order, the hash at each word and whether it fits in its document."""
+class _Words:
+    """The words of a batch of texts as hashes, with the document of each."""
 
-    def __init__(self, texts: pa.ChunkedArray, order: int) -> None:
+    def __init__(self, texts: pa.ChunkedArray) -> None:
         hashes, counts = [], []
         for chunk in chunks(texts):
             buf = FOLD[chunk.buf]
@@ -41,18 +41,20 @@ class _Grams:
             hashes.append(word_hashes(buf, starts, ends))
             counts.append(np.diff(first))
         self.words = np.concatenate(counts) if counts else np.empty(0, np.int64)
-        h = np.concatenate(hashes) if hashes else np.empty(0, np.uint64)
+        self.hash = np.concatenate(hashes) if hashes else np.empty(0, np.uint64)
         self.first = np.concatenate([[0], np.cumsum(self.words)])
         self.doc = np.repeat(np.arange(len(self.words)), self.words)
-        left = self.first[self.doc + 1] - np.arange(len(h))  # words from here to the end of the document
-        self.at = [np.flatnonzero(left >= n) for n in range(1, order + 1)]
-        self.hash = [mixed(gram_hashes(h, n)[self.at[n - 1]] ^ np.uint64(n * 0x632BE59BD9B4E019 & 0xFFFFFFFFFFFFFFFF)) for n in range(1, order + 1)]
 
-    def distinct(self) -> tuple[np.ndarray, np.ndarray]:
-        every, n = np.unique(np.concatenate(self.hash), return_counts=True)
-        if len(every) and every[-1] == _ALL_WORDS:
-            every, n = every[:-1], n[:-1]
-        return np.append(every, _ALL_WORDS), np.append(n, len(self.hash[0]))
+    def grams(self, n: int) -> tuple[np.ndarray, np.ndarray]:
+        """Where n words of one document start, and their hash."""
+        at = np.flatnonzero(self.first[self.doc + 1] - np.arange(len(self.hash)) >= n)
+        return at, mixed(gram_hashes(self.hash, n)[at] ^ np.uint64(n * 0x632BE59BD9B4E019 & 0xFFFFFFFFFFFFFFFF))
+
+
+def _distinct(hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted hashes with counts; the last entry counts all of them."""
+    every, n = np.unique(hashes[hashes != _ALL_WORDS], return_counts=True)
+    return np.append(every, _ALL_WORDS), np.append(n, len(hashes))
 
 
 def _packed(x: np.ndarray) -> bytes:
@@ -69,10 +71,10 @@ def _unpacked(b: bytes) -> np.ndarray:
     return out.view("<u8").ravel()
 
 
-def _pieces(order: int, bits: int):
+def _pieces(n: int, bits: int):
     def fold(table: pa.Table) -> pa.Table:
         batch = table.column("__batch")[0].as_py()
-        every, n = _Grams(table.column("__text"), order).distinct()
+        every, count = _distinct(_Words(table.column("__text")).grams(n)[1])
         edge = np.searchsorted(every, np.arange(1, 1 << bits, dtype=np.uint64) << np.uint64(64 - bits)) if bits else np.empty(0, np.int64)
         edge = np.concatenate([[0], edge, [len(every)]])
         parts = [k for k in range(1 << bits) if edge[k] < edge[k + 1]]
@@ -80,7 +82,7 @@ def _pieces(order: int, bits: int):
         for k in parts:
             own = every[edge[k] : edge[k + 1]]
             keys.append(_packed(np.diff(own, prepend=np.uint64(k << (64 - bits) if bits else 0))))
-        return pa.table({"part": pa.array(parts, pa.int32()), "batch": pa.array([batch] * len(parts), pa.int64()), "keys": pa.array(keys, pa.binary()), "counts": pa.array([_packed(n[edge[k] : edge[k + 1]]) for k in parts], pa.binary())})
+        return pa.table({"part": pa.array(parts, pa.int32()), "batch": pa.array([batch] * len(parts), pa.int64()), "keys": pa.array(keys, pa.binary()), "counts": pa.array([_packed(count[edge[k] : edge[k + 1]]) for k in parts], pa.binary())})
 
     return fold
 
@@ -98,25 +100,29 @@ def _totals(table: pa.Table) -> pa.Table:
 
 def _scorer(order: int, backoff: float, leave_one_out: bool, id_col: str):
     def score(docs: pa.Table, told: pa.Table) -> pa.Table:
-        grams = _Grams(docs.column("__text"), order)
-        every, _ = grams.distinct()
-        told = told.sort_by("part")
-        total = np.concatenate([_unpacked(b.as_buffer()) for b in told.column("totals")]).astype(np.int64)
-        if len(total) != len(every):
-            raise RuntimeError("a batch changed between two readings")
-        n_docs, n = len(grams.words), len(grams.doc)
-        seen = np.zeros((order, n), np.int64)
+        text = _Words(docs.column("__text"))
+        told = told.sort_by([("n", "ascending"), ("part", "ascending")])
+        level = told.column("n").to_numpy()
+        n_docs, size = len(text.words), len(text.doc)
+        seen = np.zeros((order, size), np.int64)
         for k in range(order):
-            entry = np.searchsorted(every, grams.hash[k])
+            at, h = text.grams(k + 1)
+            every, _ = _distinct(h)
+            total = np.concatenate([_unpacked(told.column("totals")[i].as_buffer()) for i in np.flatnonzero(level == k + 1).tolist()]).astype(np.int64)
+            if len(total) != len(every):
+                raise RuntimeError("a batch changed between two readings")
+            entry = np.searchsorted(every, h)
             value = total[entry]
             if leave_one_out and len(entry):
-                _, inverse, own = np.unique(grams.doc[grams.at[k]] * len(every) + entry, return_inverse=True, return_counts=True)
+                _, inverse, own = np.unique(text.doc[at] * len(every) + entry, return_inverse=True, return_counts=True)
                 value = value - own[inverse]
-            seen[k, grams.at[k]] = value
-        words = total[-1] - (grams.words[grams.doc] if leave_one_out else 0)
-        place = np.arange(n) - grams.first[grams.doc]
+            seen[k, at] = value
+            if not k:
+                everything = total[-1]
+        words = everything - (text.words[text.doc] if leave_one_out else 0)
+        place = np.arange(size) - text.first[text.doc]
         result = np.where(seen[0] > 0, np.log(np.maximum(seen[0], 1)) - np.log(np.maximum(words, 1)), -np.log(words + 1.0))
-        used = np.ones(n, np.int64)
+        used = np.ones(size, np.int64)
         for k in range(2, order + 1):
             i = np.flatnonzero(place >= k - 1)
             whole, context = seen[k - 1, i - k + 1], seen[k - 2, i - k + 1]
@@ -124,9 +130,9 @@ def _scorer(order: int, backoff: float, leave_one_out: bool, id_col: str):
             result[i[hit]] = np.log(whole[hit]) - np.log(context[hit])
             result[i[~hit]] += math.log(backoff)
             used[i[hit]] = k
-        sums = np.bincount(grams.doc, weights=result, minlength=n_docs)
-        full = np.bincount(grams.doc, weights=used == order, minlength=n_docs).astype(np.int64)
-        return pa.table({id_col: docs.column("__id"), "n_words": pa.array(grams.words, pa.int64()), "log_score": pa.array(sums, pa.float64()), "n_full": pa.array(full, pa.int64())})
+        sums = np.bincount(text.doc, weights=result, minlength=n_docs)
+        full = np.bincount(text.doc, weights=used == order, minlength=n_docs).astype(np.int64)
+        return pa.table({id_col: docs.column("__id"), "n_words": pa.array(text.words, pa.int64()), "log_score": pa.array(sums, pa.float64()), "n_full": pa.array(full, pa.int64())})
 
     return score
 
@@ -144,8 +150,11 @@ def score_documents(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     bits = max(0, (batches - 1).bit_length())
     rows = docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text")).withColumn("__batch", F.pmod(F.xxhash64("__id", "__text"), F.lit(batches)))
     dealt = rows.groupBy("__batch")
-    pieces = dealt.applyInArrow(_pieces(order, bits), "part int, batch long, keys binary, counts binary")
-    told = staged(pieces.groupBy("part").applyInArrow(_totals, "batch long, part int, totals binary"), "ngram-totals")
+    told = None
+    for n in range(1, order + 1):  # one order at a time: what is exchanged for one is gone before the next
+        pieces = dealt.applyInArrow(_pieces(n, bits), "part int, batch long, keys binary, counts binary")
+        level = staged(pieces.groupBy("part").applyInArrow(_totals, "batch long, part int, totals binary"), f"ngram-totals-{n}").withColumn("n", F.lit(n))
+        told = level if told is None else told.unionByName(level)
     schema = T.StructType([T.StructField(id_col, docs.schema[id_col].dataType), T.StructField("n_words", T.LongType()), T.StructField("log_score", T.DoubleType()), T.StructField("n_full", T.LongType())])
     if docs.isEmpty():
         return spark.createDataFrame([], schema)
