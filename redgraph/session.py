@@ -35,6 +35,22 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def cut_placed(df: DataFrame, parts: int) -> DataFrame:
+    """A reliable checkpoint that keeps how ``df`` is partitioned, so later joins on that key need no exchange.
+
+    Adaptive plans do not tell their partitioning before they have run, so this job is planned without,
+    and for as many tasks as there are owners, so that no side is dealt anew for parallelism.
+    """
+    shared_dir(df.sparkSession)
+    with scoped(df.sparkSession, fixed(parts)):
+        return df.checkpoint(eager=True)
+
+
+def fixed(parts: int) -> dict[str, str]:
+    """Settings under which a round over ``parts`` owners is planned."""
+    return {"spark.sql.adaptive.enabled": "false", "spark.sql.shuffle.partitions": str(parts)}
+
+
 def staged(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` as Parquet below the shared folder and read it again (columnar, prunable)."""
     spark = df.sparkSession
