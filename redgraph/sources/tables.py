@@ -50,7 +50,7 @@ SQL = {
         SELECT DISTINCT doc_id AS src, first AS dst, CAST(1 AS BIGINT) AS w FROM l JOIN f ON l.line = f.line WHERE doc_id <> first""",
 }
 
-_SPARK = {"days": "datediff(nd, o_orderdate)", "micros": "unix_micros(nt) - unix_micros(ts)", "trim": "trim(line)", "unnest": "explode(split(text, '\\n'))"}
+_SPARK = {"days": "datediff(nd, o_orderdate)", "micros": "cast(cast(nt - ts as interval second) as decimal(18, 6)) * 1000000", "trim": "trim(line)", "unnest": "explode(split(text, '\\n'))"}
 _DUCK = {"days": "date_diff('day', o_orderdate, nd)", "micros": "date_diff('microsecond', ts, nt)", "trim": "trim(line)", "unnest": "unnest(string_split(text, chr(10)))"}
 
 
