@@ -15,8 +15,15 @@ import pyarrow as pa
 SCHEMA = "kind int, part int, id long, val long, more boolean, generated long, local long, remote_raw long, queued long, accepted long, rounds long, batches long, edge_gets long"
 STATE, MAIL, COUNTS = 0, 1, 2
 
+def _plus(v: np.ndarray, w: np.ndarray) -> np.ndarray:
+    out = v + w
+    if np.any((w >= 0) & (out < v)):
+        raise OverflowError("a distance exceeds 64 bits")
+    return out
+
+
 #: Candidate values over (value of the source, weight), the NumPy twins of the Column expressions.
-KERNELS: dict[str, Callable] = {"plus_weight": lambda v, w: v + w, "same": lambda v, w: v, "plus_one": lambda v, w: v + 1, "least_with_weight": lambda v, w: np.minimum(v, w)}
+KERNELS: dict[str, Callable] = {"plus_weight": _plus, "same": lambda v, w: v, "plus_one": lambda v, w: v + 1, "least_with_weight": lambda v, w: np.minimum(v, w)}
 
 
 def _expand(heads: np.ndarray, start: np.ndarray, stop: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

@@ -21,8 +21,8 @@ def emit(frontier: DataFrame, placed: Placed, value: Column, *, keep_order: bool
 
     ``value`` is an expression over ``val`` (of the source) and ``w`` (of the edge).
     """
-    e = placed.edges
-    rows = frontier.join(e, (frontier["part"] == e["part"]) & (frontier["id"] == e["src"])).select(e["part"].alias("from_part"), F.col("dst_part").alias("to_part"), "dst", value.alias("val"), F.col("src"))
+    e = placed.edges.withColumnRenamed("part", "from_part")
+    rows = frontier.join(e, (F.col("part") == F.col("from_part")) & (F.col("id") == F.col("src"))).select("from_part", F.col("dst_part").alias("to_part"), "dst", value.alias("val"), "src")
     if keep_order:
         rows = rows.withColumn("seq", F.struct("from_part", "src"))
     return rows.drop("src")

@@ -91,7 +91,7 @@ def incremental_labels(edge_stream: DataFrame) -> DataFrame:
         old = kept[-1] if kept else ends.limit(0).withColumn("component", F.col("id"))
         known = ends.join(old, "id", "left").withColumn("component", F.coalesce("component", "id"))
         e = edges.join(known.select(F.col("id").alias("src"), F.col("component").alias("a")), "src").join(known.select(F.col("id").alias("dst"), F.col("component").alias("b")), "dst")
-        moved = connected_components(e, "a", "b").withColumnsRenamed({"id": "component", "component": "to"})
+        moved = connected_components(e, "a", "b").select(F.col("id").alias("component"), F.col("component").alias("to"))
         every = old.unionByName(known.join(old.select("id"), "id", "left_anti"))
         new = every.join(moved, "component", "left").select("id", F.coalesce("to", "component").alias("component"))
         kept.append(staged(new, "stream-labels"))
