@@ -7,10 +7,10 @@ from pyspark.sql import functions as F
 
 from redgraph.functions.reduce import MAX, MIN, OR, ReduceOp
 from redgraph.operators import superstep
-from redgraph.operators.graph import PropertyGraph, degrees, hubs, require_valid, symmetrize
+from redgraph.operators.graph import PropertyGraph, degrees, hubs, symmetrize
 from redgraph.operators.partition import Placed, assign
-from redgraph.operators.superstep import RunResult, told
-from redgraph.session import cut
+from redgraph.operators.superstep import RunResult
+from redgraph.session import cut, told
 
 SCALE = 1_000_000_000_000
 
@@ -20,17 +20,15 @@ def _seeds(g: PropertyGraph, ids: list[int], val: int) -> DataFrame:
     return spark.createDataFrame([(int(i), val) for i in ids], "id long, val long")
 
 
-def fixed_point(g: PropertyGraph, start: DataFrame, *, op: ReduceOp = MIN, expression: str = "plus_weight", mode: str = "plain", parts: int = 8, scheme: str = "block", weight: str | None = "w", placed: Placed | None = None, **options) -> RunResult:
+def fixed_point(g: PropertyGraph, start: DataFrame, *, op: ReduceOp = MIN, expression: str = "plus_weight", mode: str = "plain", parts: int = 8, scheme: str = "block", weight: str | None = "w", placed: Placed | None = None, check: bool = False, **options) -> RunResult:
     """Any monotone reduction program from a first frontier ``id, val``."""
-    p = placed or assign(g, parts, scheme, weight=weight)
+    p = placed or assign(g, parts, scheme, weight=weight, check=check)
     return superstep.run(p, start, op=op, expression=expression, mode=mode, **options)
 
 
 def sssp(g: PropertyGraph, source: int | None = None, *, sources: list[int] | None = None, check: bool = True, **options) -> RunResult:
     """Shortest distances from one source, or from the nearest of several; unreached vertices have no row."""
-    if check and options.get("placed") is None:
-        require_valid(g, options.get("weight", "w"))
-    return fixed_point(g, _seeds(g, sources if sources is not None else [source], 0), **options)
+    return fixed_point(g, _seeds(g, sources if sources is not None else [source], 0), check=check, **options)
 
 
 def bad_seed_sssp(g: PropertyGraph, **options) -> RunResult:

@@ -19,8 +19,8 @@ from redgraph.operators.graph import PropertyGraph
 from redgraph.operators.local_engine import KERNELS, MAIL, SCHEMA
 from redgraph.operators.mailbox import lock_cycles
 from redgraph.operators.partition import Placed, assign
-from redgraph.operators.superstep import RunResult, run, told
-from redgraph.session import cut, cut_placed
+from redgraph.operators.superstep import RunResult, run
+from redgraph.session import cut, cut_placed, told
 
 
 def predecessor(placed: Placed, start: DataFrame, *, expression: str = "plus_weight", op: ReduceOp = MIN, **more) -> RunResult:

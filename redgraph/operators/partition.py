@@ -7,13 +7,13 @@ owner then need no exchange, however many rounds follow.
 from __future__ import annotations
 
 from collections.abc import Callable
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from redgraph.operators.graph import PropertyGraph
-from redgraph.session import cut_placed
+from redgraph.session import cut, cut_placed, told
 
 Owner = Callable[[Column], Column]
 
@@ -86,22 +86,38 @@ class Placed:
     of: Owner | None
 
 
-def assign(g: PropertyGraph, parts: int, scheme: str = "hash", *, weight: str | None = None, owners: DataFrame | None = None, by: Callable[[Column], Column] | None = None) -> Placed:
+def assign(g: PropertyGraph, parts: int, scheme: str = "hash", *, weight: str | None = None, owners: DataFrame | None = None, by: Callable[[Column], Column] | None = None, check: bool = False) -> Placed:
     """Place a graph: one shuffle of the edges, kept by a reliable checkpoint.
 
-    With ``owners`` (``id, part``) the owner of an end is looked up, else computed from the id.
+    With ``owners`` (``id, part``) the owner of an end is looked up, else computed from the id.  ``check``
+    refuses null ends and null or negative weights, counted while the edges are placed.
     """
     w = F.col(weight).cast("long") if weight else F.lit(1).cast("long")
+    source = g.edges.select("src", "dst", w.alias("w"))
+    watch = Observation()
+    if check:
+        count = lambda c: F.sum(c.cast("long"))
+        source = source.observe(watch, count(F.col("src").isNull() | F.col("dst").isNull()).alias("null ends"), count(F.col("w").isNull()).alias("null weights"), count(F.coalesce(F.col("w") < 0, F.lit(False))).alias("negative weights"))
     if owners is not None:
-        e = g.edges.select("src", "dst", w.alias("w"))
-        e = e.join(owners.select(F.col("id").alias("src"), "part"), "src").join(owners.select(F.col("id").alias("dst"), F.col("part").alias("dst_part")), "dst")
+        e = source.join(owners.select(F.col("id").alias("src"), "part"), "src").join(owners.select(F.col("id").alias("dst"), F.col("part").alias("dst_part")), "dst")
         of = None
-        vertices = owners
     else:
+        if scheme in ("block", "range"):  # their bounds come from a pass over the ends before the edges are placed
+            source = cut(source)
+            g = replace(g, edges=source)
         of = owner(scheme, parts, top=top_id(g) if scheme == "block" else None, bounds=range_bounds(g, parts) if scheme == "range" else None, by=by)
-        e = g.edges.select("src", "dst", w.alias("w"), of(F.col("src")).alias("part"), of(F.col("dst")).alias("dst_part"))
-        vertices = g.ids().select("id", of(F.col("id")).alias("part"))
+        e = source.select("src", "dst", "w", of(F.col("src")).alias("part"), of(F.col("dst")).alias("dst_part"))
     e = cut_placed(e.select("part", "src", "dst", "dst_part", "w").repartitionById(parts, "part"), parts)
+    if check:
+        for what, n in told(watch).items():
+            if n:
+                raise ValueError(f"{n} edges with {what}")
+    vertices = owners
+    if of is not None:
+        ends = e.select("part", F.col("src").alias("id")).unionByName(e.select(F.col("dst_part").alias("part"), F.col("dst").alias("id")))
+        if g.vertices is not None:
+            ends = ends.unionByName(g.vertices.select(of(F.col("id")).alias("part"), "id"))
+        vertices = ends.distinct().select("id", "part")
     return Placed(e, vertices, parts, of)
 
 

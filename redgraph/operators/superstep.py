@@ -29,7 +29,7 @@ from redgraph.operators import local_engine
 from redgraph.operators.local_engine import COUNTS, MAIL, SCHEMA, STATE
 from redgraph.operators.mailbox import ENTRY_BYTES, emit
 from redgraph.operators.partition import Placed
-from redgraph.session import cut_placed, fixed, scoped
+from redgraph.session import cut_placed, fixed, scoped, told
 
 MODES = ("uncombined", "plain", "short_circuit", "pulse", "bounded_pulse")
 EXPRESSIONS: dict[str, Callable[[Column, Column], Column]] = {"plus_weight": lambda v, w: v + w, "same": lambda v, w: v, "plus_one": lambda v, w: v + 1, "least_with_weight": lambda v, w: F.least(v, w)}
@@ -93,14 +93,6 @@ def run(
     return result
 
 
-def told(watch: Observation) -> dict:
-    """Observed values; none if Spark found the observed rows to be empty and dropped that part of the plan."""
-    try:
-        return {k: v or 0 for k, v in dict(watch.get).items()}
-    except Exception:  # noqa: BLE001  the gateway raises a bare assertion for a dropped part
-        return {}
-
-
 def _merged(state: DataFrame, updates: DataFrame, op: ReduceOp, watch: Observation) -> DataFrame:
     """State joined with its updates ``part, id, own, mail, more``: both sides are placed, so nothing moves."""
     u = updates.select(F.col("part").alias("up"), F.col("id").alias("ui"), "own", "mail", "more")

@@ -12,7 +12,7 @@ import tempfile
 import uuid
 from collections.abc import Iterator
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -60,6 +60,14 @@ def staged(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def told(watch: Observation) -> dict:
+    """Observed values; none if Spark found the observed rows to be empty and dropped that part of the plan."""
+    try:
+        return {k: v or 0 for k, v in dict(watch.get).items()}
+    except Exception:  # noqa: BLE001  the gateway raises a bare assertion for a dropped part
+        return {}
+
+
 @contextlib.contextmanager
 def scoped(spark: SparkSession, settings: dict[str, str]) -> Iterator[None]:
     """Set runtime settings for a block and restore what was there before."""
