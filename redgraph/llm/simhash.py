@@ -159,7 +159,7 @@ def links(distinct: DataFrame, max_bits: int = 2) -> DataFrame:
     if max_bits not in (0, 1, 2):
         raise ValueError("the range join meets one unit step from either side: at most two bits")
     # each row makes 65: deal rows to all tasks, or a few tasks would make all cells
-    spread = distinct.repartition(task_count(distinct.sparkSession), "fp")
+    spread = distinct.repartition(task_count(distinct.sparkSession))
     cells = spread.select("fp", _popcount_cells(F.col("fp")).alias("own")).select("fp", F.explode(F.array(*_steps(F.col("own")))).alias("cell")).where("cell IS NOT NULL")
     crowd = cells.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("cell"))).where("n > 1")
     crowd = staged(crowd, "simhash-cells")
