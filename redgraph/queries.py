@@ -303,7 +303,17 @@ def partition_skew(spark, d):
 
 
 
-@query("update_curve")
+_CURVE = f"""
+    WITH RECURSIVE e AS MATERIALIZED ({TRADE}), r(k, v, d, c) AS (
+        SELECT 0::BIGINT, 0::BIGINT, 0::BIGINT, true
+        UNION ALL
+        SELECT k + 1, v, min(d), min(d) FILTER (old) IS NULL OR min(d) < min(d) FILTER (old)
+        FROM (SELECT k, v, d, true AS old FROM r WHERE k < 40 UNION ALL SELECT k, e.dst, r.d + e.w, false FROM r JOIN e ON r.v = e.src WHERE r.c AND k < 40) q GROUP BY k, v),
+    n AS (SELECT k, count(*) FILTER (c) AS accepted FROM r WHERE k > 0 GROUP BY k)
+    SELECT k AS round, accepted FROM n WHERE k <= (SELECT min(k) FROM n WHERE accepted = 0)"""
+
+
+@query("update_curve", _CURVE)
 def update_curve(spark, d):
     """Vertices improved in each round of shortest paths without early updates."""
     return metrics.update_curve(al.sssp(graph(spark, d, "trade"), 0, mode="plain"))
