@@ -51,7 +51,7 @@ def mirror_sync(g: PropertyGraph, start: DataFrame, *, expression: str = "plus_w
     p = assign(g, parts, scheme, weight=weight)
     own = p.of
     ends = p.edges.select("part", F.col("src").alias("id")).unionByName(p.edges.select("part", F.col("dst").alias("id")))
-    masters = p.vertices.select(F.col("part").cast("int"), "id")
+    masters = p.vertices.select("part", "id")
     replicas = cut_placed(ends.unionByName(masters).distinct().withColumn("home", own(F.col("id"))).repartitionById(parts, "part"), parts)
     first = start.select("id", F.col("val").cast("long").alias("val"))
     state = cut_placed(replicas.join(first, "id", "left").select("part", "id", "home", "val", F.col("val").isNotNull().alias("changed")).repartitionById(parts, "part"), parts)
@@ -101,7 +101,7 @@ def master_worker(placed: Placed, start: DataFrame, *, expression: str = "plus_w
     The coordinator is the bottleneck that this baseline is about; use it for comparison only.
     """
     first = start.select("id", F.col("val").cast("long").alias("val"))
-    state = cut_placed(placed.vertices.select(F.col("part").cast("int").alias("part"), "id").join(first, "id", "left").select("part", "id", "val", F.col("val").isNotNull().alias("changed")).repartitionById(placed.parts, "part"), placed.parts)
+    state = cut_placed(placed.vertices.join(first, "id", "left").select("part", "id", "val", F.col("val").isNotNull().alias("changed")).repartitionById(placed.parts, "part"), placed.parts)
     result = RunResult(state)
     at, worst = op.at, op.worst
 

@@ -39,6 +39,8 @@ def pulse(part: int, state: pa.Table, edges: pa.Table, kernel: str, at: Callable
     state = state.filter(state.column("val").is_valid())
     sid, sval = state.column("id").to_numpy(), state.column("val").to_numpy()
     active = state.column("changed").to_numpy(zero_copy_only=False).astype(bool)
+    if not active.any():  # an idle owner: nothing to index
+        return _told(part, *[np.empty(0, np.int64)] * 6, [0] * 8)
     src, dst = edges.column("src").to_numpy(), edges.column("dst").to_numpy()
     home, w = edges.column("dst_part").to_numpy(), edges.column("w").to_numpy()
     mine = home == part
@@ -84,12 +86,17 @@ def pulse(part: int, state: pa.Table, edges: pa.Table, kernel: str, at: Callable
     moved = np.union1d(moved, front)
     send = np.flatnonzero(touched)
     per = np.unique(far_home[send], return_counts=True)[1]
-    n, m = len(moved), len(send)
+    counts = [generated, local, raw, len(send), accepted, rounds, int(np.sum(-(-per // batch_size))), generated]
+    return _told(part, ids[moved], value[moved], carried[moved], far_home[send], far[send], best[send], counts)
+
+
+def _told(part: int, ids: np.ndarray, values: np.ndarray, carried: np.ndarray, homes: np.ndarray, targets: np.ndarray, best: np.ndarray, counts: list[int]) -> pa.Table:
+    """State rows, mail rows and one row of counters."""
+    n, m = len(ids), len(targets)
     zero = np.zeros(n + m, np.int64)
-    counts = [generated, local, raw, m, accepted, rounds, int(np.sum(-(-per // batch_size))), generated]
     columns = [
-        np.concatenate([np.full(n, STATE), np.full(m, MAIL), [COUNTS]]).astype(np.int32), np.concatenate([np.full(n, part), far_home[send], [part]]).astype(np.int32), np.concatenate([ids[moved], far[send], [0]]),
-        np.concatenate([value[moved], best[send], [0]]), np.concatenate([carried[moved], np.zeros(m + 1, bool)]), *[np.append(zero, c) for c in counts],
+        np.concatenate([np.full(n, STATE), np.full(m, MAIL), [COUNTS]]).astype(np.int32), np.concatenate([np.full(n, part), homes, [part]]).astype(np.int32), np.concatenate([ids, targets, [0]]).astype(np.int64),
+        np.concatenate([values, best, [0]]).astype(np.int64), np.concatenate([carried.astype(bool), np.zeros(m + 1, bool)]), *[np.append(zero, c) for c in counts],
     ]
     names = [f.split()[0] for f in SCHEMA.split(", ")]
     return pa.table(dict(zip(names, columns, strict=True)))

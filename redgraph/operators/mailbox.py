@@ -16,12 +16,16 @@ from redgraph.operators.partition import Placed
 ENTRY_BYTES = 16
 
 
-def emit(frontier: DataFrame, placed: Placed, value: Column, *, keep_order: bool = False) -> DataFrame:
+def emit(frontier: DataFrame, placed: Placed, value: Column, *, keep_order: bool = False, small: bool = False) -> DataFrame:
     """Candidates of all edges that leave the frontier (``part, id, val``): no exchange, the join is co-located.
 
+    A frontier that is known to be ``small`` is looked up from the edges instead (vertex-centric), which
+    spares sorting them; else both sides are sorted and merged (edge-centric).
     ``value`` is an expression over ``val`` (of the source) and ``w`` (of the edge).
     """
     e = placed.edges.withColumnRenamed("part", "from_part")
+    if small:
+        frontier = F.broadcast(frontier)
     rows = frontier.join(e, (F.col("part") == F.col("from_part")) & (F.col("id") == F.col("src"))).select("from_part", F.col("dst_part").alias("to_part"), "dst", value.alias("val"), "src")
     if keep_order:
         rows = rows.withColumn("seq", F.struct("from_part", "src"))

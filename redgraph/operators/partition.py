@@ -112,7 +112,11 @@ def assign(g: PropertyGraph, parts: int, scheme: str = "hash", *, weight: str |
         for what, n in told(watch).items():
             if n:
                 raise ValueError(f"{n} edges with {what}")
+    # columns keep their names and types from here on: a renamed or cast owner would hide the placement
     vertices = owners
+    if owners is not None:
+        kinds = dict(owners.dtypes)
+        vertices = owners.select("id", "part") if (kinds["id"], kinds["part"]) == ("bigint", "int") else owners.select(F.col("id").cast("long"), F.col("part").cast("int"))
     if of is not None:
         ends = e.select("part", F.col("src").alias("id")).unionByName(e.select(F.col("dst_part").alias("part"), F.col("dst").alias("id")))
         if g.vertices is not None:

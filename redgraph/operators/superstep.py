@@ -31,6 +31,8 @@ from redgraph.operators.mailbox import ENTRY_BYTES, emit
 from redgraph.operators.partition import Placed
 from redgraph.session import cut_placed, fixed, scoped, told
 
+#: A frontier of at most so many rows (24 bytes each) is sent to all tasks; its size is counted by the round before.
+SMALL_FRONTIER = 200_000
 MODES = ("uncombined", "plain", "short_circuit", "pulse", "bounded_pulse")
 EXPRESSIONS: dict[str, Callable[[Column, Column], Column]] = {"plus_weight": lambda v, w: v + w, "same": lambda v, w: v, "plus_one": lambda v, w: v + 1, "least_with_weight": lambda v, w: F.least(v, w)}
 
@@ -57,23 +59,31 @@ class RunResult:
 
 
 def run(
-    placed: Placed, start: DataFrame, *, expression: str = "plus_weight", op: ReduceOp = MIN, mode: str = "plain", max_local_rounds: int | None = None, max_rounds: int = 10_000, batch_size: int = 1024, explain: bool = False
+    placed: Placed, start: DataFrame, *, expression: str = "plus_weight", op: ReduceOp = MIN, mode: str = "plain", max_local_rounds: int | None = None, max_rounds: int = 10_000, batch_size: int = 1024, traversal: str = "auto", explain: bool = False
 ) -> RunResult:
-    """Repeat until no vertex changes.  ``start`` has ``id, val`` of the first frontier; others have no value."""
+    """Repeat until no vertex changes.  ``start`` has ``id, val`` of the first frontier; others have no value.
+
+    ``traversal`` is ``vertex`` (look small frontiers up from the edges), ``edge`` (merge with all edges) or
+    ``auto``, which takes the frontier's counted size; it concerns the two modes without local rounds.
+    """
+    if traversal not in ("vertex", "edge", "auto"):
+        raise ValueError(f"unknown traversal {traversal}")
     if mode not in MODES:
         raise ValueError(f"unknown mode {mode}")
     if not op.fusible:
         raise ValueError(f"{op.name} cannot be iterated to a fixed point: it is not repeat-safe")
     # every vertex has a row, unreached ones without a value: joins from the left then keep the placement
     first = start.select("id", F.col("val").cast("long").alias("val"))
-    owned = placed.vertices.select(F.col("part").cast("int").alias("part"), F.col("id").cast("long").alias("id")).join(first, "id", "left")
+    owned = placed.vertices.join(first, "id", "left")
     state = cut_placed(owned.select("part", "id", "val", F.col("val").isNotNull().alias("changed")).repartitionById(placed.parts, "part"), placed.parts)
     result = RunResult(state)
     rounds = 1 if mode == "short_circuit" else max_local_rounds if mode == "bounded_pulse" else None
+    changed = None  # not counted before the first round
     for k in range(max_rounds):
         watch = Observation()
+        small = changed is not None and changed <= SMALL_FRONTIER and traversal != "edge"
         if mode in ("uncombined", "plain"):
-            new, seen = _mail_round(placed, state, expression, op, mode == "plain", watch)
+            new, seen = _mail_round(placed, state, expression, op, mode == "plain", watch, small)
         else:
             new, seen = _pulse_round(placed, state, expression, op, rounds, batch_size, watch)
         if explain and not k:
@@ -106,11 +116,11 @@ def _merged(state: DataFrame, updates: DataFrame, op: ReduceOp, watch: Observati
     return out.select("part", "id", "val", "changed")
 
 
-def _mail_round(placed: Placed, state: DataFrame, expression: str, op: ReduceOp, combine: bool, watch: Observation) -> tuple[DataFrame, Observation]:
+def _mail_round(placed: Placed, state: DataFrame, expression: str, op: ReduceOp, combine: bool, watch: Observation, small: bool) -> tuple[DataFrame, Observation]:
     """Expand, fold and merge with DataFrame operators only."""
     seen = Observation()
     value = EXPRESSIONS[expression](F.col("val"), F.col("w"))
-    mail = emit(state.where("changed"), placed, value)
+    mail = emit(state.where("changed").select("part", "id", "val"), placed, value, small=small)
     if combine:
         mail = mail.groupBy("from_part", "to_part", "dst").agg(op.agg(F.col("val")).alias("val"), F.count(F.lit(1)).alias("n"))
     else:
