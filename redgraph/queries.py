@@ -25,7 +25,6 @@ from redgraph.streaming import incremental
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
-SMALL = 120  # customers of the lattice that round-per-hop modes run on
 
 
 def query(name: str, sql: str | None = None):
@@ -81,7 +80,6 @@ def pagerank_sql(edges: str, rounds: int = 10, real: bool = False, vertices: str
 
 TRADE = edge_sql("trade")
 GRID = edge_sql("grid")
-GRID_SMALL = edge_sql("grid", first=SMALL)
 USER_HOP = edge_sql("user_hop")
 CUST_SUPP = edge_sql("cust_supp")
 DOC_SHARE = edge_sql("doc_share")
@@ -101,7 +99,7 @@ for _mode, _more in (("uncombined", {}), ("plain", {}), ("short_circuit", {}), (
     query(f"sssp_trade_{_mode}", sssp_sql(TRADE))(lambda s, d, m=_name, k=_more: _dist(al.sssp(graph(s, d, "trade"), 0, mode=m, **k)))
 for _mode, _more in (("plain", {}), ("short_circuit", {}), ("bounded2", {"max_local_rounds": 2})):
     _name = "bounded_pulse" if _mode == "bounded2" else _mode
-    query(f"sssp_{_mode}", sssp_sql(GRID_SMALL))(lambda s, d, m=_name, k=_more: _dist(al.sssp(graph(s, d, "grid", first=SMALL), 0, mode=m, **k)))
+    query(f"sssp_{_mode}", sssp_sql(GRID))(lambda s, d, m=_name, k=_more: _dist(al.sssp(graph(s, d, "grid"), 0, mode=m, **k)))
 query("sssp_pulse", sssp_sql(GRID))(lambda s, d: _dist(al.sssp(graph(s, d, "grid"), 0, mode="pulse")))
 query("sssp_user_hop", sssp_sql(USER_HOP))(lambda s, d: _dist(al.sssp(graph(s, d, "user_hop"), 0, mode="pulse")))
 
@@ -151,9 +149,9 @@ def sssp_program(spark, d):
     return _dist(lower.compile(program, graph(spark, d, "trade")).run())
 
 
-@query("widest_path", fixed_sql(GRID_SMALL, "SELECT CAST(0 AS BIGINT) AS v, 4611686018427387904::BIGINT AS d", "least(r.d, e.w)", ">", "max", "width"))
+@query("widest_path", fixed_sql(GRID, "SELECT CAST(0 AS BIGINT) AS v, 4611686018427387904::BIGINT AS d", "least(r.d, e.w)", ">", "max", "width"))
 def widest_path(spark, d):
-    return _dist(al.widest_path(graph(spark, d, "grid", first=SMALL), 0, mode="pulse"), "width")
+    return _dist(al.widest_path(graph(spark, d, "grid"), 0, mode="pulse"), "width")
 
 
 query("reachable", fixed_sql(CUST_SUPP, "SELECT CAST(0 AS BIGINT) AS v, CAST(1 AS BIGINT) AS d", "r.d", ">", "max", "reached"))(lambda s, d: _dist(al.reachable(graph(s, d, "cust_supp"), 0, mode="pulse"), "reached"))
@@ -323,8 +321,8 @@ def update_curve(spark, d):
 def update_curve_shape(spark, d):
     """Cold start, tail and steepest rise of the curve, on the hub-heavy and on the lattice graph."""
     out = None
-    for name, more in (("trade", {}), ("grid", {"first": SMALL})):
-        row = metrics.curve_shape(metrics.update_curve(al.sssp(graph(spark, d, name, **more), 0, mode="plain"))).withColumn("graph", F.lit(name))
+    for name in ("trade", "grid"):
+        row = metrics.curve_shape(metrics.update_curve(al.sssp(graph(spark, d, name), 0, mode="plain"))).withColumn("graph", F.lit(name))
         out = row if out is None else out.unionByName(row)
     return out
 
