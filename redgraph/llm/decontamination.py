@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from redgraph.llm.bytetext import ALNUM, FOLD, Chunk, chunks, word_hashes
-from redgraph.session import cut
+from redgraph.session import cut, staged
 
 WINDOW = 10
 BLOCK_BYTES = 16 << 20
@@ -280,19 +280,18 @@ def match_benchmark(
     spark = docs.sparkSession
     kind = docs.schema[id_col].dataType
     schema = T.StructType([T.StructField(id_col, kind), T.StructField("n_words", T.LongType()), T.StructField("n_hit", T.LongType()), T.StructField("items", T.ArrayType(T.StringType())), T.StructField("cover", T._parse_datatype_string(COVER)), T.StructField("spans", T._parse_datatype_string(SPANS))])
-    parts = []
-    for rows in benchmark_blocks(benchmark, item_col, item_text_col, block_bytes):
-        shared = spark.sparkContext.broadcast(Block.of(rows, window))
-        parts.append(docs.select(id_col, text_col).mapInArrow(_matcher(shared, window), schema))
-    if not parts:
-        return docs.select(id_col, text_col).mapInArrow(_matcher(None, window), schema)
-    if len(parts) == 1:
-        return parts[0]
-    return _joined(parts, docs, id_col, text_col, window)
-
-
-def _joined(parts: list[DataFrame], docs: DataFrame, id_col: str, text_col: str, window: int) -> DataFrame:
-    """Several blocks (ids must then be unique): rows are joined by id; covered runs are merged, so that a word counts once."""
+    blocks = [spark.sparkContext.broadcast(Block.of(rows, window)) for rows in benchmark_blocks(benchmark, item_col, item_text_col, block_bytes)]
+    if len(blocks) < 2:
+        return docs.select(id_col, text_col).mapInArrow(_matcher(blocks[0] if blocks else None, window), schema)
+    # ids may repeat or be null: the rows are numbered once and joined by that number
+    numbered = staged(docs.select(F.monotonically_increasing_id().alias("__row"), F.col(id_col), F.col(text_col)), "benchmark-rows")
+    by_row = T.StructType([T.StructField("__row", T.LongType()), *schema.fields[1:]])
+    joined = _joined([numbered.select("__row", text_col).mapInArrow(_matcher(shared, window), by_row) for shared in blocks])
+    return numbered.select("__row", id_col).join(joined, "__row").select(*schema.names)
+
+
+def _joined(parts: list[DataFrame]) -> DataFrame:
+    """Several blocks: rows are joined by their number; covered runs are merged, so that a word counts once."""
     every = None
     for p in parts:
         p = cut(p)
@@ -305,7 +304,7 @@ def _joined(parts: list[DataFrame], docs: DataFrame, id_col: str, text_col: str,
         lambda s: s.n,
     )
     items = F.array_sort(F.array_distinct(F.flatten(F.collect_list("items"))))
-    return every.groupBy(id_col).agg(F.max("n_words").alias("n_words"), merged.alias("n_hit"), items.alias("items"), runs.alias("cover"), F.flatten(F.collect_list("spans")).alias("spans"))
+    return every.groupBy("__row").agg(F.max("n_words").alias("n_words"), merged.alias("n_hit"), items.alias("items"), runs.alias("cover"), F.flatten(F.collect_list("spans")).alias("spans"))
 
 
 def _matcher(shared, window: int):

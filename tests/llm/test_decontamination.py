@@ -66,3 +66,12 @@ def test_table_equals_brute_force(spark, sf):
     got = {r.doc_id: (r.n_words, r.n_hit, r.n_items, r.items_sha256) for r in dec.op1_decontamination(spark, sf).collect()}
     want = brute(docs, bench)
     assert {d: got[d] for d in want} == want
+
+
+def test_blocks_keep_repeated_and_null_ids_apart(spark):
+    item = " ".join(f"b{i}" for i in range(12))
+    docs = spark.createDataFrame([(1, item), (1, "one two three"), (1, item), (None, "x y"), (None, "z " + item)], "doc_id long, text string")
+    bench = spark.createDataFrame([("a", item), ("b", "c " * 12)], "item_id string, text string")
+    rows = lambda **k: sorted(((r.doc_id or 0, r.n_words, r.n_hit, r["items"]) for r in dec.match_benchmark(docs, bench, **k).collect()))
+    want = [(0, 2, 0, []), (0, 13, 12, ["a"]), (1, 3, 0, []), (1, 12, 12, ["a"]), (1, 12, 12, ["a"])]
+    assert rows() == want and rows(block_bytes=1) == want
