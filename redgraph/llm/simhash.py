@@ -2,9 +2,10 @@
 
 A fingerprint is mapped to the bit counts of its 32 two-bit segments.  The Manhattan distance of two
 such vectors never exceeds the Hamming distance of the fingerprints, so all links within two bits
-lie within Manhattan distance two.  The range join meets in the middle: each distinct fingerprint
-enters its own grid cell and the cells one unit step away; two fingerprints within distance two
-always share a cell.  Pairs of a cell are then verified on all 64 bits.
+lie within Manhattan distance two.  Such vectors differ in at most two of the blocks into which the
+segments are dealt; a distinct fingerprint therefore enters one cell for each choice of all blocks but
+two, and two fingerprints within distance two always share a cell.  Pairs of a cell are then verified
+on all 64 bits.
 
 A cell with more than ``PAIRS`` fingerprints is not paired up: its fingerprints are refined to
 one-bit segments, where a shared cell proves the link and holds at most 65 fingerprints, so that
@@ -23,8 +24,10 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from redgraph.llm.bytetext import FOLD, NONBLANK, Chunk, chunks
+from redgraph.llm.exact_dedup import THIN
+from redgraph.llm.similar_documents import first_of_each
 from redgraph.operators.components import connected_components
-from redgraph.session import cut, staged, task_count
+from redgraph.session import cut, scoped, staged, task_count
 
 SHINGLE = 3
 SEED = 42
@@ -141,34 +144,44 @@ def _popcount_cells(fp: Column) -> Column:
     return one.bitwiseOR(F.shiftleft(two, 1))
 
 
-def _steps(cell: Column) -> list[Column]:
-    """The cell and all cells at Manhattan distance one; null where a count would leave 0..2."""
-    out = [cell]
-    for j in range(SEGMENTS):
-        low, both, high = _signed(1 << 2 * j), _signed(3 << 2 * j), _signed(2 << 2 * j)
-        out.append(F.when(cell.bitwiseAND(high) == 0, cell.bitwiseXOR(low)))
-        out.append(F.when(cell.bitwiseAND(both) != 0, cell.bitwiseXOR(both)))
-    return out
+def _grids(nodes: int) -> list[int]:
+    """Masks over the packed counts, one per grid: all but two of the blocks into which the segments are dealt.
+
+    Vectors within Manhattan distance two differ in at most two segments' blocks or in one, so they are
+    equal on all others and share a cell of at least one grid.  More rows take more, smaller blocks: a
+    cell then meets fewer strangers (two random fingerprints agree on a segment with chance 3/8).
+    """
+    for blocks in (6, 8, 10, 12, 16):
+        edge = [SEGMENTS * i // blocks for i in range(blocks + 1)]
+        part = [sum(3 << 2 * j for j in range(a, b)) for a, b in zip(edge, edge[1:], strict=False)]
+        whole = (1 << 2 * SEGMENTS) - 1
+        masks = [whole & ~(part[i] | part[j]) for j in range(blocks) for i in range(j)]
+        if nodes * sum(0.375 ** (m.bit_count() // 2) for m in masks) <= 1:
+            break
+    return masks
 
 
 def links(distinct: DataFrame, max_bits: int = 2) -> DataFrame:
     """Links ``(a, b)`` between distinct fingerprints ``fp`` that connect all pairs within ``max_bits``.
 
     Every returned pair is within ``max_bits``; every pair within ``max_bits`` is connected by them.
+    ``distinct`` must be stored: it is read more than once.
     """
     if max_bits not in (0, 1, 2):
-        raise ValueError("the range join meets one unit step from either side: at most two bits")
-    # each row makes 65: deal rows to all tasks, or a few tasks would make all cells
-    spread = distinct.repartition(task_count(distinct.sparkSession))
-    cells = spread.select("fp", _popcount_cells(F.col("fp")).alias("own")).select("fp", F.explode(F.array(*_steps(F.col("own")))).alias("cell")).where("cell IS NOT NULL")
-    crowd = cells.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("cell"))).where("n > 1")
-    crowd = staged(crowd, "simhash-cells")
+        raise ValueError("the range join leaves out two blocks of segments: at most two bits")
+    masks = _grids(distinct.count())
+    # each row makes one per grid: deal rows to all tasks, or a few tasks would make all cells
+    spread = distinct.repartition(task_count(distinct.sparkSession)).select("fp", _popcount_cells(F.col("fp")).alias("own"))
+    cells = spread.select("fp", F.explode(F.array(*[F.xxhash64(F.lit(k), F.col("own").bitwiseAND(_signed(m))) for k, m in enumerate(masks)])).alias("cell"))
+    with scoped(distinct.sparkSession, THIN):
+        shared = staged(cells.groupBy("cell").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "simhash-shared")
+        crowd = staged(cells.join(shared, "cell").select("cell", "fp", "n"), "simhash-cells")
     few = crowd.where(F.col("n") <= PAIRS).select("cell", "fp")
     near = F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= max_bits
     pairs = few.select("cell", F.col("fp").alias("a")).join(few.select(F.col("cell").alias("c2"), F.col("fp").alias("b")), (F.col("cell") == F.col("c2")) & (F.col("a") < F.col("b")) & near).select("a", "b")
     many = crowd.where(F.col("n") > PAIRS).select("fp").distinct()
     flips = many.select("fp", F.explode(F.array(F.col("fp"), *[F.col("fp").bitwiseXOR(_signed(1 << j)) for j in range(64)])).alias("middle"))
-    group = Window.partitionBy("middle").orderBy("fp")
+    group = Window.partitionBy("middle").orderBy("fp")  # at most 65 fingerprints
     star = flips.withColumn("a", F.first("fp").over(group)).where("a <> fp").select("a", F.col("fp").alias("b"))
     if max_bits < 2:
         star = _tight(many, max_bits)
@@ -187,7 +200,7 @@ def near_groups(prints: DataFrame, id_col: str = "doc_id", max_bits: int = 2) ->
     ``prints`` has one row per document and must be stored (it is read twice).  Null ids take part in
     linking but never name a group that has another id.
     """
-    distinct = prints.groupBy("fp").agg(F.min(id_col).alias("first"))
+    distinct = staged(prints.groupBy("fp").agg(F.min(id_col).alias("first")), "simhash-distinct")
     edges = links(distinct.select("fp"), max_bits)
     root = connected_components(edges, "a", "b").withColumnsRenamed({"id": "fp", "component": "root"})
     rooted = cut(distinct.join(root, "fp", "left").withColumn("root", F.coalesce("root", "fp")))
@@ -208,12 +221,7 @@ def keep_one_of_each(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     keyed = docs.select(id_col, text_col).withColumn("__text", F.xxhash64(text_col))
     prints = staged(fingerprints(keyed.withColumnRenamed(id_col, "__id"), ["__id", "__text"], text_col=text_col, shingle=shingle), "simhash-prints")
     groups = near_groups(prints, "__id", max_bits)
-    best = prints.join(groups.select("fp", "root"), "fp").groupBy("root").agg(F.min(F.struct(F.isnull("__id").alias("none"), F.col("__id").alias("id"), F.col("__text").alias("text"))).alias("best"))
-    stay = best.select(F.col("best.id").alias("__id"), F.col("best.text").alias("__text")).distinct()
-    rows = docs.withColumn("__text", F.xxhash64(text_col))
-    kept = rows.join(stay.withColumnRenamed("__text", "__text2"), F.col(id_col).eqNullSafe(F.col("__id")) & (F.col("__text") == F.col("__text2")), "left_semi")
-    order = Window.partitionBy(id_col, "__text").orderBy(*[F.col(c) for c, t in docs.dtypes if c not in (id_col, text_col) and not t.startswith("map")] or [F.lit(0)])
-    return kept.withColumn("__rank", F.row_number().over(order)).where("__rank = 1").select(*docs.columns)
+    return first_of_each(docs, prints.join(groups.select("fp", "root"), "fp").select("__id", "__text", "root"), id_col, text_col)
 
 
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
