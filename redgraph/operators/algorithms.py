@@ -87,7 +87,8 @@ def bfs_levels(g: PropertyGraph, root: int, *, direction: str = "auto", alpha: f
         watch = Observation()
         new = found.select("id", F.lit(level + 1).cast("long").alias("level"), "parent").observe(watch, F.count(F.lit(1)).alias("n"))
         new = cut(new)
-        if not told(watch).get("n"):
+        counts = told(watch)
+        if not (counts["n"] if counts else new.count()):
             return seen
         seen = seen.unionByName(new)
     raise RuntimeError(f"more than {max_levels} levels")
@@ -159,8 +160,11 @@ def pagerank(g: PropertyGraph, *, damping: float = 0.85, stop: str = "l1", tol:
         watch = Observation()
         gap = F.abs(F.col("rank") - F.col("old"))
         rank = cut(new.observe(watch, F.sum(gap).alias("l1"), F.max(gap).alias("linf"), F.sum("rank").alias("mass")).select("id", "rank"))
-        result.rounds.append(told(watch))
-        if stop != "fixed" and told(watch).get(stop, 0.0) < tol:
+        counts = told(watch)
+        if not counts and n:
+            raise RuntimeError("a round of ranks did not tell its change")
+        result.rounds.append(counts)
+        if stop != "fixed" and counts.get(stop, 0.0) < tol:
             break
     result.df = rank
     return result
@@ -178,8 +182,9 @@ def pagerank_delta(g: PropertyGraph, *, damping: float = 0.85, tol: float = 1e-9
         new = state.join(acc, "id", "left").select("id", (F.col("rank") + F.when(active, F.col("residual")).otherwise(0.0)).alias("rank"), (F.when(active, 0.0).otherwise(F.col("residual")) + F.coalesce("acc", F.lit(0.0))).alias("residual"))
         watch = Observation()
         state = cut(new.observe(watch, F.sum((F.col("residual") > tol).cast("long")).alias("active"), F.sum("residual").alias("pending")))
-        result.rounds.append(told(watch))
-        if not told(watch).get("active"):
+        counts = told(watch) or {"active": state.where(active).count()}
+        result.rounds.append(counts)
+        if not counts["active"]:
             break
     result.df = state.select("id", (F.col("rank") + F.col("residual")).alias("rank"))
     return result

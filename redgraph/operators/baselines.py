@@ -87,7 +87,7 @@ def mirror_sync(g: PropertyGraph, start: DataFrame, *, expression: str = "plus_w
         state = cut_placed(new.observe(watch, F.sum(F.col("changed").cast("long")).alias("changed")), parts)
         counts = told(seen) | told(sent) | told(back) | told(watch)
         result.rounds.append(counts)
-        if not counts.pop("changed", 0):
+        if not (counts.pop("changed") if "changed" in counts else state.where("changed").count()):
             break
     else:
         raise RuntimeError(f"no fixed point after {max_rounds} rounds")
@@ -123,7 +123,7 @@ def master_worker(placed: Placed, start: DataFrame, *, expression: str = "plus_w
         state = cut_placed(new.observe(watch, F.sum(F.col("changed").cast("long")).alias("changed")), placed.parts)
         counts = told(seen) | told(hub) | told(watch)
         result.rounds.append(counts)
-        if not counts.pop("changed", 0):
+        if not (counts.pop("changed") if "changed" in counts else state.where("changed").count()):
             break
     else:
         raise RuntimeError(f"no fixed point after {max_rounds} rounds")

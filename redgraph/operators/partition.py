@@ -97,7 +97,8 @@ def assign(g: PropertyGraph, parts: int, scheme: str = "hash", *, weight: str |
     watch = Observation()
     if check:
         count = lambda c: F.sum(c.cast("long"))
-        source = source.observe(watch, count(F.col("src").isNull() | F.col("dst").isNull()).alias("null ends"), count(F.col("w").isNull()).alias("null weights"), count(F.coalesce(F.col("w") < 0, F.lit(False))).alias("negative weights"))
+        faults = [count(F.col("src").isNull() | F.col("dst").isNull()).alias("null ends"), count(F.col("w").isNull()).alias("null weights"), count(F.coalesce(F.col("w") < 0, F.lit(False))).alias("negative weights")]
+        source = source.observe(watch, *faults)
     if owners is not None:
         e = source.join(owners.select(F.col("id").alias("src"), "part"), "src").join(owners.select(F.col("id").alias("dst"), F.col("part").alias("dst_part")), "dst")
         of = None
@@ -109,7 +110,7 @@ def assign(g: PropertyGraph, parts: int, scheme: str = "hash", *, weight: str |
         e = source.select("src", "dst", "w", of(F.col("src")).alias("part"), of(F.col("dst")).alias("dst_part"))
     e = cut_placed(e.select("part", "src", "dst", "dst_part", "w").repartitionById(parts, "part"), parts)
     if check:
-        for what, n in told(watch).items():
+        for what, n in (told(watch) or e.agg(*faults).first().asDict()).items():
             if n:
                 raise ValueError(f"{n} edges with {what}")
     # columns keep their names and types from here on: a renamed or cast owner would hide the placement

@@ -91,7 +91,7 @@ def run(
                 result.plan = new._jdf.queryExecution().toString()
         state = cut_placed(new, placed.parts)
         counts = told(seen) | told(watch)
-        changed = counts.pop("changed", 0) or 0
+        changed = counts.pop("changed") if "changed" in counts else state.where("changed").count()
         counts["accepted"] = (counts.get("accepted") or 0) + (counts.pop("by_mail", 0) or 0)
         counts["bytes"] = ENTRY_BYTES * (counts.get("queued") or 0)
         result.rounds.append(counts)
