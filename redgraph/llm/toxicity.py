@@ -8,9 +8,11 @@ no extension or cut improves.  The best score of clean text of a given length fo
 value law, fitted on clean labelled documents; it gives every segment an E-value, and a logistic
 curve on the calibrated scores gives the probability that the document is toxic.
 
-Fitting uses at most ``FIT_ROWS`` labelled rows (those of the smallest id digests) and at most
-``VOCABULARY`` tokens; scores for calibration come from the other half of these rows.  All else runs
-over whole texts of all rows, without a shuffle.
+Fitting uses at most ``FIT_ROWS`` labelled rows (those of the smallest id digests) and all their tokens
+that are in at least ``LEAST`` of them; that bound on rows also bounds the model.  Scores for calibration
+come from the other half of these rows.  All else runs over whole texts of all rows, without a shuffle.
+Of labelled rows with one text the majority of labels counts, an even split as clean.  Only the id, text
+and label columns are read, so other columns of any name (``key``, ``label``, ``score``) do no harm.
 """
 
 from __future__ import annotations
@@ -29,7 +31,6 @@ from redgraph.llm.bytetext import ALNUM, FOLD, Chunk, chunks, mixed, word_hashes
 from redgraph.session import staged
 
 FIT_ROWS = 24_000
-VOCABULARY = 1 << 17
 PREFIXES = (9, 8, 7, 6, 5, 4)  # bytes, deepest first
 PRIOR = 4.0
 LEAST = 3
@@ -37,6 +38,8 @@ SURE = 1.3  # standard deviations that the log-odds must keep on their side of 0
 FLAT = 0.7  # weaker evidence than this counts as none
 DRIFT = 0.08  # what a word without evidence costs a passage
 E_VALUE = 0.05
+RATES = (0.1, 8.0)  # bounds of the extreme-value rate
+IDLE = 2.0  # a segment adds evidence beyond this score times the rate
 SEGMENTS = "array<struct<word:int,words:int,score:double,e_value:double>>"
 
 
@@ -107,7 +110,7 @@ def features(model: Model, words: int, found: list[tuple[int, int, float]]) -> t
         return -math.log(model.size * max(words, 1) + 1) / 4, 0.0
     expected = math.log(model.size * max(words, 1))
     best = model.rate * max(s for _, _, s in found) - expected
-    return best, math.log1p(sum(max(0.0, model.rate * s - 2.0) for _, _, s in found))
+    return best, math.log1p(sum(max(0.0, model.rate * s - IDLE) for _, _, s in found))
 
 
 def probability(model: Model, x: tuple[float, float]) -> float:
@@ -127,7 +130,8 @@ def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col:
     wanted = wanted.withColumn("__order", F.md5(F.col("__id").cast("string"))).orderBy("__order", "label").limit(rows)
     chosen = docs.select(id_col, text_col).join(F.broadcast(wanted), F.col(id_col) == F.col("__id")).select(F.xxhash64(text_col).alias("key"), F.col(text_col).alias("text"), "label")
     # copies would let the words of one text pass as evidence: one row of each text
-    sample = staged(chosen.dropDuplicates(["key"]).withColumn("fold", F.abs(F.col("key") % 2).cast("int")), "toxicity-fit")
+    once = chosen.groupBy("key").agg(F.min("text").alias("text"), (2 * F.sum("label") > F.count(F.lit(1))).cast("int").alias("label"))
+    sample = staged(once.withColumn("fold", F.abs(F.col("key") % 2).cast("int")), "toxicity-fit")
     counts = _counts(sample)
     both = Model(*_scores(counts, (0, 1)))
     if not len(both.tokens):
@@ -170,8 +174,9 @@ def _counts(sample: DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.n
     seen = sample.select("text", "fold", "label").mapInArrow(tokens, "level int, token long, parent long, side int, n long")
     by = [F.sum(F.when(F.col("side") == k, F.col("n")).otherwise(0)).alias(f"n{k}") for k in range(4)]
     grouped = seen.groupBy("level", "token").agg(F.first("parent").alias("parent"), *by).where(f"n0 + n1 + n2 + n3 >= {LEAST}")
-    top = grouped.orderBy(F.desc(F.expr("n1 + n3 > 0")), F.desc(F.expr("n0 + n1 + n2 + n3")), "token").limit(VOCABULARY).toPandas()
-    return top["level"].to_numpy(np.int64), top["token"].to_numpy(np.int64).view(np.uint64), top["parent"].to_numpy(np.int64).view(np.uint64), top[[f"n{k}" for k in range(4)]].to_numpy(np.float64)
+    told = grouped.select("level", "token", "parent", *[F.col(f"n{k}").cast("int").alias(f"n{k}") for k in range(4)]).toArrow()
+    column = lambda name: told.column(name).to_numpy()
+    return column("level").astype(np.int64), column("token").view(np.uint64), column("parent").view(np.uint64), np.stack([column(f"n{k}") for k in range(4)], axis=1).astype(np.float64)
 
 
 def _scores(counts, folds: tuple[int, ...]) -> tuple[np.ndarray, np.ndarray]:
@@ -197,25 +202,33 @@ def _scores(counts, folds: tuple[int, ...]) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _points(spark: SparkSession, sample: DataFrame, model: Model) -> list[tuple[int, int, list[float]]]:
-    """Label, words and segment scores of each row of one half of the sample."""
+    """Label, words and segment scores of each row of one half of the sample, the best score first.
+
+    Scores that add no evidence at the highest rate are left out, except the best one.
+    """
     shared = spark.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for chunk in chunks(batch.column(0)):
                 words, found = chunk_segments(shared.value, chunk)
-                yield pa.RecordBatch.from_arrays([batch.column(1).slice(chunk.row, chunk.n), pa.array(words.astype(np.int32)), pa.array([sorted((s for _, _, s in x), reverse=True)[:32] for x in found], pa.list_(pa.float64()))], names=["label", "words", "scores"])
+                yield pa.RecordBatch.from_arrays([batch.column(1).slice(chunk.row, chunk.n), pa.array(words.astype(np.int32)), pa.array([telling(x) for x in found], pa.list_(pa.float64()))], names=["label", "words", "scores"])
 
     return [(r.label, r.words, list(r.scores)) for r in sample.select("text", "label").mapInArrow(run, "label int, words int, scores array<double>").collect()]
 
 
+def telling(found: list[tuple[int, int, float]]) -> list[float]:
+    scores = sorted((s for _, _, s in found), reverse=True)
+    return scores[:1] + [s for s in scores[1:] if s * RATES[1] > IDLE]
+
+
 def _calibrated(model: Model, points: list[tuple[int, int, list[float]]]) -> Model:
     """Fit the extreme-value law on clean rows, then the logistic curve on all."""
     clean = [(n, s[0]) for y, n, s in points if y == 0 and s and n]
     if len(clean) >= 20:
         n, s = np.array([x[0] for x in clean], float), np.array([x[1] for x in clean])
         best = (-math.inf, 1.0, 1.0)
-        for rate in np.geomspace(0.1, 8.0, 90):
+        for rate in np.geomspace(*RATES, 90):
             # for a given rate the size that maximises the likelihood of a Gumbel law with location ln(size n)/rate
             size = len(n) / float(np.sum(n * np.exp(-rate * s)))
             y = rate * s - np.log(size * n)
