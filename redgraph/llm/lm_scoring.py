@@ -1,12 +1,16 @@
 """Stupid-backoff language-model scores from n-gram count tables partitioned by hash.
 
-Rows are dealt into batches by a hash of their id.  Each batch folds its n-grams of all orders to
-distinct 64-bit hashes with counts and cuts the sorted list by leading hash bits: those pieces are
-the rows of the n-gram relation, partitioned by hash, with one entry per batch however frequent an
-n-gram is.  A partition sums its pieces to the count table and joins it back to every piece, in the
+Rows are dealt into batches of ``BATCH_BYTES`` of text by a hash of where they stand, so that rows equal
+in all columns are dealt apart too.  Each batch folds its n-grams of an order to distinct 64-bit hashes
+with counts and cuts the sorted list by leading hash bits into partitions of ``PART_BYTES`` of text: those
+pieces are the rows of the n-gram relation, partitioned by hash, with one entry per batch however frequent
+an n-gram is.  A partition sums its pieces to the count table and joins it back to every piece, in the
 order of the piece, so only counts travel back.  Batches join their texts with these counts, and
 every document sums the scores of its words.
 
+Empty pieces are not written, and a partition is many batches long, so there are never more pieces than
+distinct n-grams in the batches: at the most the plain exploded relation, folded by batch.
+
 Counts cover all rows.  With ``leave_one_out`` (the default) a document is scored by the counts of
 all other rows, so that its own n-grams do not pass as evidence.
 """
@@ -17,6 +21,7 @@ import math
 
 import numpy as np
 import pyarrow as pa
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -26,7 +31,8 @@ from redgraph.session import staged
 
 ORDER = 3
 BACKOFF = 0.4
-BATCH_ROWS = 2048
+BATCH_BYTES = 6 << 20  # of text; a batch is what a Python worker holds at once
+PART_BYTES = 32 << 20  # of text whose n-grams of one order meet in a partition
 _ALL_WORDS = np.uint64((1 << 64) - 1)  # stands for all n-grams together
 
 
@@ -137,18 +143,35 @@ def _scorer(order: int, backoff: float, leave_one_out: bool, id_col: str):
     return score
 
 
-def score_documents(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER, backoff: float = BACKOFF, leave_one_out: bool = True, batch_rows: int = BATCH_ROWS) -> DataFrame:
+def batch_plan(size: int, batch_bytes: int, part_bytes: int) -> tuple[int, int]:
+    """Batches and bits of the hash that name a partition, for so many bytes of text."""
+    return max(1, -(-size // batch_bytes)), max(0, (-(-size // part_bytes) - 1).bit_length())
+
+
+def placed_rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """``__id, __text, __at``: ``__at`` is a hash of the file and row where a row stands, else of a written row number."""
+    take = [F.col(id_col).alias("__id"), F.col(text_col).alias("__text")]
+    try:
+        return docs.select(*take, F.xxhash64("_metadata.file_path", "_metadata.row_index").alias("__at"))
+    except AnalysisException:  # not a plain scan of files
+        numbered = staged(docs.select(*take, F.monotonically_increasing_id().alias("__row")), "ngram-rows")
+        return numbered.select("__id", "__text", F.xxhash64("__row").alias("__at"))
+
+
+def score_documents(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER, backoff: float = BACKOFF, leave_one_out: bool = True, batch_bytes: int = BATCH_BYTES, part_bytes: int = PART_BYTES) -> DataFrame:
     """Per row: ``id, n_words, log_score`` (sum of natural logs), ``n_full`` (words scored without backing off).
 
     A word takes the longest n-gram of its document that was seen, each step down costs ``backoff``;
     the first words of a document have shorter contexts.  A word that was never seen scores as one in
     (all words + 1).  Null and empty texts have no words and score 0.  Rows with equal ids are scored
-    apart, each by the counts of all other rows.
+    apart, each by the counts of all other rows.  An empty table gives no rows; other columns are not
+    read, whatever their names.
     """
     spark = docs.sparkSession
-    batches = max(1, -(-docs.count() // batch_rows))
-    bits = max(0, (batches - 1).bit_length())
-    rows = docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text")).withColumn("__batch", F.pmod(F.xxhash64("__id", "__text"), F.lit(batches)))
+    rows = placed_rows(docs, id_col, text_col)
+    size = rows.agg(F.sum(F.octet_length(F.coalesce("__text", F.lit(""))) + 1)).first()[0] or 0
+    batches, bits = batch_plan(size, batch_bytes, part_bytes)
+    rows = rows.select("__id", "__text", F.pmod("__at", F.lit(batches)).alias("__batch"))
     dealt = rows.groupBy("__batch")
     told = None
     for n in range(1, order + 1):  # one order at a time: what is exchanged for one is gone before the next
@@ -156,7 +179,7 @@ def score_documents(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
         level = staged(pieces.groupBy("part").applyInArrow(_totals, "batch long, part int, totals binary"), f"ngram-totals-{n}").withColumn("n", F.lit(n))
         told = level if told is None else told.unionByName(level)
     schema = T.StructType([T.StructField(id_col, docs.schema[id_col].dataType), T.StructField("n_words", T.LongType()), T.StructField("log_score", T.DoubleType()), T.StructField("n_full", T.LongType())])
-    if docs.isEmpty():
+    if not size:
         return spark.createDataFrame([], schema)
     return dealt.cogroup(told.groupBy("batch")).applyInArrow(_scorer(order, backoff, leave_one_out, id_col), schema)
 
