@@ -4,8 +4,11 @@ List entries are dated events: a rule (a host or a parent domain) is added to or
 Each event holds until the next one of the same list and rule, which turns the entries into validity
 intervals; a capture is then judged by the entries that were active when it was fetched.
 
-Captures are folded to distinct (host, time) pairs before they meet the rules, so a host with a third
-of all pages is judged once per fetch time, and the verdicts return by an equi-join on both columns.
+The as-of join works on distinct (rule, time) pairs: the hosts of a page table name their own rules and
+those of their parent domains, and all hosts below a domain ask for it once per fetch time.  Time is cut
+into stretches of ``STRETCH_DAYS`` and intervals into the stretches that they overlap, so rule and stretch
+are the key of the join and a time meets only intervals of its own stretch.  A host takes the verdicts
+of its rules at its times by equi-joins with one row per rule and time.
 """
 
 from __future__ import annotations
@@ -13,6 +16,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from redgraph.session import staged
+
+STRETCH_DAYS = 32
 _HOST = r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:@]+)"
 
 
@@ -34,6 +40,12 @@ def validity(entries: DataFrame) -> DataFrame:
     return spans.where("action = 'add' AND (valid_to IS NULL OR valid_to > since)").select("list", "rule", F.col("since").alias("valid_from"), "valid_to")
 
 
+def stretch(time: Column, kind: str) -> Column:
+    """The stretch of a date or timestamp, or of a number of days."""
+    days = F.unix_date(time.cast("date")) if kind == "date" or kind.startswith("timestamp") else time
+    return F.floor(days / STRETCH_DAYS).cast("long")
+
+
 def judge(captures: DataFrame, entries: DataFrame, *, url_col: str = "url", time_col: str = "fetched") -> DataFrame:
     """All columns of ``captures`` plus ``host, blocked, n_active, lists, rule`` (the longest active one).
 
@@ -47,9 +59,16 @@ def judge(captures: DataFrame, entries: DataFrame, *, url_col: str = "url", time
     labels = F.split("host", r"\.")
     suffixes = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda k: F.array_join(F.slice(labels, k, F.size(labels) - k + 1), "."))
     asked = pairs.select("host", "__time", F.explode(suffixes).alias("rule"))
-    spans = validity(entries)
-    active = asked.join(spans, "rule").where("valid_from <= __time AND (valid_to IS NULL OR __time < valid_to)")
-    verdict = active.groupBy("host", "__time").agg(F.count(F.lit(1)).alias("n_active"), F.array_join(F.array_sort(F.collect_set("list")), ",").alias("lists"), F.max(F.struct(F.length("rule").alias("n"), F.col("rule").alias("rule")))["rule"].alias("rule"))
+    times = staged(asked.select("rule", "__time").distinct().withColumn("part", stretch(F.col("__time"), dict(captures.dtypes)[time_col])), "url-times")
+    low, high = times.agg(F.min("part"), F.max("part")).first()
+    kind = dict(entries.dtypes)["since"]
+    low, high = (F.lit(0 if x is None else x).cast("long") for x in (low, high))
+    spans = validity(entries).withColumn("from", F.greatest(stretch(F.col("valid_from"), kind), low)).withColumn("to", F.least(F.coalesce(stretch(F.col("valid_to"), kind), high), high))
+    spans = spans.where(F.col("from") <= F.col("to")).withColumn("part", F.explode(F.sequence("from", "to"))).select("rule", "part", "list", "valid_from", "valid_to")
+    now = times.join(spans, ["rule", "part"]).where("valid_from <= __time AND (valid_to IS NULL OR __time < valid_to)")
+    active = now.groupBy("rule", "__time").agg(F.count(F.lit(1)).alias("n"), F.collect_set("list").alias("lists"))
+    found = asked.join(active, ["rule", "__time"])
+    verdict = found.groupBy("host", "__time").agg(F.sum("n").alias("n_active"), F.array_join(F.array_sort(F.array_distinct(F.flatten(F.collect_list("lists")))), ",").alias("lists"), F.max(F.struct(F.length("rule").alias("n"), F.col("rule").alias("rule")))["rule"].alias("rule"))
     out = rows.join(verdict.withColumnRenamed("host", "__host"), (F.col("host") == F.col("__host")) & (F.col(time_col) == F.col("__time")), "left")
     return out.select(*kept, "host", F.col("n_active").isNotNull().alias("blocked"), F.coalesce("n_active", F.lit(0).cast("long")).alias("n_active"), F.coalesce("lists", F.lit("")).alias("lists"), "rule")
 
