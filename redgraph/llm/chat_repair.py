@@ -7,8 +7,11 @@ programming over the automaton's four states finds the cheapest repair of the wh
 
 Costs compose as (min, +) matrices, one per turn, so a conversation of any length is solved in
 blocks: each block reduces to a 4 x 4 matrix, the matrices of a conversation fix the state at each
-block border, and blocks are then solved apart.  Output is one piece of rendered text per input turn;
-the pieces of a conversation, joined in order, are the repaired conversation.
+block border, and blocks are then solved apart.  Turns are put in order once, over all tasks, and
+written; a block is at most ``BLOCK_TURNS`` neighbours of that order, so turns of equal number, or of
+no conversation, are cut into blocks like any others.  What meets in one task of a conversation is one
+small matrix per block.  Output is one piece of rendered text per input turn; the pieces of a
+conversation, joined in order, are the repaired conversation.
 """
 
 from __future__ import annotations
@@ -23,7 +26,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_type
 
-from redgraph.session import task_count
+from redgraph.session import staged, task_count
 
 ROLES = ("start", "system", "user", "assistant")
 LEGAL = {0: (1, 2), 1: (2,), 2: (3,), 3: (2,)}
@@ -128,7 +131,7 @@ def piece(move: tuple[int, int, str, int | None], text: str | None, last: bool)
 
 
 def repair(turns: DataFrame, *, conv_col: str = "conv_id", turn_col: str = "turn", role_col: str = "role", text_col: str = "text", block_turns: int = BLOCK_TURNS) -> DataFrame:
-    """Per input turn: ``conv, turn, role, action, new_role, rendered``.
+    """Per input turn: ``conv, turn, role, action, new_role, rendered, at``; ``at`` orders the turns of all conversations.
 
     Turns are ordered by turn (nulls first), then role and text, so ties and repeated rows have a
     fixed order.  Rows with a null conversation form one conversation.  Unknown and null roles must be
@@ -137,17 +140,20 @@ def repair(turns: DataFrame, *, conv_col: str = "conv_id", turn_col: str = "turn
     spark = turns.sparkSession
     tasks = task_count(spark)
     rows = turns.select(F.col(conv_col).alias("__conv"), F.col(turn_col).alias("__turn"), F.col(role_col).alias("__role"), F.col(text_col).alias("__text"))
-    rows = rows.withColumn("__block", F.coalesce(F.floor(F.col("__turn") / block_turns), F.lit(-1)).cast("long"))
-    order = ["__conv", "__block", "__turn", "__role", "__text"]
+    # rows equal in all that orders them are dealt by a random number: any order of theirs is the same
+    by = [F.col(c).asc_nulls_first() for c in ("__conv", "__turn", "__role", "__text")]
+    sorted_ = rows.withColumn("__any", F.rand(1)).repartitionByRange(tasks, *by, "__any").sortWithinPartitions(*by, "__any").drop("__any")
+    rows = staged(sorted_.withColumn("__at", F.monotonically_increasing_id()), "chat-turns")
+    rows = rows.withColumn("__block", F.expr(f"__at div {block_turns}"))
+    order = ["__conv", "__block", "__at"]
     conv = T.StructField("__conv", turns.schema[conv_col].dataType)
 
     def matrices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for key, group in _runs(batches, (0, 1)):
-            yield pa.RecordBatch.from_arrays([pa.array([key[0]], kinds[0]), pa.array([key[1]], pa.int64()), pa.array([block_matrix([role_code(r[2]) for r in group])], pa.list_(pa.int64()))], names=["__conv", "__block", "matrix"])
+            yield pa.RecordBatch.from_arrays([pa.array([key[0]], kinds[0]), pa.array([key[1]], pa.int64()), pa.array([block_matrix([role_code(r[3]) for r in group])], pa.list_(pa.int64()))], names=["__conv", "__block", "matrix"])
 
     kinds = [to_arrow_type(conv.dataType), to_arrow_type(turns.schema[turn_col].dataType)]
-    # equal roles cost the same whatever their texts, so the order of ties within one role is free here
-    blocks = rows.select("__conv", "__block", "__role", "__turn").repartition(tasks, "__conv", "__block").sortWithinPartitions("__conv", "__block", "__turn", "__role").mapInArrow(matrices, T.StructType([conv, T.StructField("__block", T.LongType()), T.StructField("matrix", T.ArrayType(T.LongType()))]))
+    blocks = rows.select("__conv", "__block", "__at", "__role").repartition(tasks, "__conv", "__block").sortWithinPartitions(*order).mapInArrow(matrices, T.StructType([conv, T.StructField("__block", T.LongType()), T.StructField("matrix", T.ArrayType(T.LongType()))]))
 
     def states(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for key, group in _runs(batches, (0,)):
@@ -157,14 +163,14 @@ def repair(turns: DataFrame, *, conv_col: str = "conv_id", turn_col: str = "turn
 
     kind = T.StructType([T.StructField("__c", conv.dataType), T.StructField("__b", T.LongType()), T.StructField("entry", T.IntegerType()), T.StructField("leave", T.IntegerType()), T.StructField("final", T.BooleanType())])
     fixed = blocks.repartition(tasks, "__conv").sortWithinPartitions("__conv", "__block").mapInArrow(states, kind)
-    joined = rows.join(fixed, F.col("__conv").eqNullSafe(F.col("__c")) & (F.col("__block") == F.col("__b"))).select(*order, "entry", "leave", "final")
+    joined = rows.join(fixed, F.col("__conv").eqNullSafe(F.col("__c")) & (F.col("__block") == F.col("__b"))).select(*order, "__turn", "__role", "__text", "entry", "leave", "final")
 
     def pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         out: list[tuple] = []
         for key, group in _runs(batches, (0, 1)):
-            moves = solve([role_code(r[3]) for r in group], group[0][5], group[0][6])
+            moves = solve([role_code(r[4]) for r in group], group[0][6], group[0][7])
             for k, (r, m) in enumerate(zip(group, moves, strict=True)):
-                out.append((key[0], r[2], r[3], m[2], ROLES[m[1]], piece(m, r[4], group[0][7] and k == len(group) - 1)))
+                out.append((key[0], r[3], r[4], m[2], ROLES[m[1]], piece(m, r[5], group[0][8] and k == len(group) - 1), r[2]))
             if len(out) >= 2000:
                 yield _batch(out)
                 out = []
@@ -173,25 +179,25 @@ def repair(turns: DataFrame, *, conv_col: str = "conv_id", turn_col: str = "turn
 
     def _batch(out: list[tuple]) -> pa.RecordBatch:
         columns = list(zip(*out, strict=True))
-        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, [*kinds, *[pa.string()] * 4], strict=True)], names=names)
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, [*kinds, *[pa.string()] * 4, pa.int64()], strict=True)], names=names)
 
-    names = [conv_col, turn_col, role_col if role_col not in ("action", "new_role", "rendered") else "role", "action", "new_role", "rendered"]
-    schema = T.StructType([T.StructField(names[0], conv.dataType), T.StructField(names[1], turns.schema[turn_col].dataType), *[T.StructField(n, T.StringType()) for n in names[2:]]])
+    names = [conv_col, turn_col, role_col if role_col not in ("action", "new_role", "rendered", "at") else "role", "action", "new_role", "rendered", "at"]
+    schema = T.StructType([T.StructField(names[0], conv.dataType), T.StructField(names[1], turns.schema[turn_col].dataType), *[T.StructField(n, T.StringType()) for n in names[2:-1]], T.StructField("at", T.LongType())])
     return joined.repartition(tasks, "__conv", "__block").sortWithinPartitions(*order).mapInArrow(pieces, schema)
 
 
 def _runs(batches: Iterator[pa.RecordBatch], key: tuple[int, ...]) -> Iterator[tuple[tuple, list[tuple]]]:
-    """Consecutive rows of equal key, over batch borders; a run is at most one block."""
+    """Consecutive rows of equal key, over batch borders; a run is at most one block, or the blocks of a conversation."""
     rows = (r for b in batches for r in zip(*(c.to_pylist() for c in b.columns), strict=True))
     for k, group in groupby(rows, key=lambda r: tuple(r[i] for i in key)):
         yield k, list(group)
 
 
-def rendered_conversations(pieces: DataFrame, *, conv_col: str = "conv_id", turn_col: str = "turn") -> DataFrame:
-    """One text per conversation, for conversations that fit in a row; pieces of one turn keep no order among equal ones."""
-    parts = F.array_sort(F.collect_list(F.struct(F.col(turn_col), F.col("role"), F.col("rendered"))))
+def rendered_conversations(pieces: DataFrame, *, conv_col: str = "conv_id") -> DataFrame:
+    """One text per conversation, for conversations that fit in a row."""
+    parts = F.array_sort(F.collect_list(F.struct("at", "rendered")))
     return pieces.groupBy(conv_col).agg(F.array_join(F.transform(parts, lambda x: x.rendered), "").alias("rendered"))
 
 
 def op9_chat_repair(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return repair(spark.read.parquet(f"{sf_dir}/conversations.parquet"))
+    return repair(spark.read.parquet(f"{sf_dir}/conversations.parquet")).drop("at")
