@@ -19,35 +19,40 @@ from redgraph.llm.mixing import hash32, source_key
 
 SHARDS = 16
 SEED = 11
-BUCKETS = 10  # bits of the shuffle hash that name a bucket of a source
-STRETCHES = 4096
+BUCKET_ROWS = 1 << 16  # rows of one bucket or stretch, as their numbers follow the rows of the table
 
 
 def shard_rows(docs: DataFrame, *, id_col: str = "doc_id", source_col: str = "source", shards: int = SHARDS, seed: int = SEED) -> DataFrame:
     """All columns of ``docs`` plus ``shard`` and ``slot`` (gapless from 0); shard sizes differ by one row at most.
 
-    A null source is a source of its own; null ids hash as the empty string; equal rows take
-    neighbouring places in any order; an empty table gives no rows.
+    A null source is a source of its own; null ids hash as the empty string; rows of one id are ordered by
+    a digest of all their columns (maps left out), so that a repeated task deals them alike, and rows
+    equal in all of them take neighbouring places in any order; an empty table gives no rows.  Columns
+    named ``shard`` or ``slot`` are replaced.
     """
-    key = lambda df: df.withColumn("__key", source_key(F.col(source_col))).withColumn("__hash", hash32(F.col(id_col).cast("string"), seed)).withColumn("__bucket", F.shiftright("__hash", 32 - BUCKETS))
+    docs = docs.drop("shard", "slot")
+    rows = docs.count()
+    bits = max(10, int(-(-rows // BUCKET_ROWS) - 1).bit_length())  # of the shuffle hash, that name a bucket of a source
+    parts = max(4096, 1 << bits)
+    tie = F.xxhash64(*[F.col(c) for c, t in docs.dtypes if "map<" not in t and t != "variant"])
+    key = lambda df: df.withColumn("__key", source_key(F.col(source_col))).withColumn("__hash", hash32(F.col(id_col).cast("string"), seed)).withColumn("__bucket", F.shiftright("__hash", 32 - bits))
     groups = key(docs.select(id_col, source_col)).groupBy("__key", "__bucket").agg(F.count(F.lit(1)).alias("n"))
     source = Window.partitionBy("__key")
     groups = groups.withColumn("__before", F.coalesce(F.sum("n").over(source.orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).withColumn("__of", F.sum("n").over(source)).drop("n")
-    own = Window.partitionBy("__key", "__bucket").orderBy("__hash", id_col)
-    ranked = key(docs).join(groups, ["__key", "__bucket"]).withColumn("__place", F.col("__before") + F.row_number().over(own))
-    ranked = ranked.withColumn("__part", F.expr(f"((2 * __place - 1) * {STRETCHES}) div (2 * __of)")).withColumn("__rank", (F.col("__place") - 0.5) / F.col("__of"))
+    own = Window.partitionBy("__key", "__bucket").orderBy("__hash", id_col, "__tie")
+    ranked = key(docs.withColumn("__tie", tie)).join(groups, ["__key", "__bucket"]).withColumn("__place", F.col("__before") + F.row_number().over(own))
+    ranked = ranked.withColumn("__part", F.expr(f"((2 * __place - 1) * {parts}) div (2 * __of)")).withColumn("__rank", (F.col("__place") - 0.5) / F.col("__of"))
     stretch = Window.partitionBy("__part").orderBy("__rank", "__key", "__place")
-    ranked = ranked.join(stretches(groups.select("__key", "__of").distinct()), "__part").withColumn("__at", F.col("__ahead") + F.row_number().over(stretch) - 1)
+    ranked = ranked.join(stretches(groups.select("__key", "__of").distinct(), parts), "__part").withColumn("__at", F.col("__ahead") + F.row_number().over(stretch) - 1)
     return ranked.select(*docs.columns, F.expr(f"cast((__at * {shards}) div __all as int)").alias("shard"), F.expr(f"__at - ((((__at * {shards}) div __all) * __all + {shards - 1}) div {shards})").alias("slot"))
 
 
-def stretches(sources: DataFrame) -> DataFrame:
-    """``__part, __ahead, __all``: rows before each stretch, from one row ``(__key, __of)`` per source.
+def stretches(sources: DataFrame, g: int) -> DataFrame:
+    """``__part, __ahead, __all``: rows before each of ``g`` stretches, from one row ``(__key, __of)`` per source.
 
     A source with at most as many rows as there are stretches names the stretch of each row, a larger
     one the rows of each stretch: never more rows than documents, nor than sources times stretches.
     """
-    g = STRETCHES
     first = lambda p: f"((2 * __of * {p} + {g}) + {2 * g - 1}) div {2 * g}"
     spread = sources.select("__of", F.explode(F.sequence(F.lit(0).cast("long"), F.least(F.col("__of"), F.lit(g)) - 1)).alias("j"))
     part = F.when(F.col("__of") <= g, F.expr(f"((2 * j + 1) * {g}) div (2 * __of)")).otherwise(F.col("j"))
