@@ -23,7 +23,7 @@ WEIGHTS = (5, 2, 1)
 SHARE = 1.5
 MOST = 2.0
 SEED = 7
-SPREAD = 256  # buckets of one source and size class
+SPREAD, BUCKET_ROWS = 256, 1 << 18  # buckets of one source and size class at least; rows of the table for each bucket beyond
 
 
 def source_key(source: Column) -> Column:
@@ -49,7 +49,8 @@ def size_class(size: Column) -> Column:
 def source_targets(sizes: DataFrame, *, weights: tuple[int, ...] = WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
     """``key, source_size, target`` from one row ``(key, source_size)`` per source.
 
-    The sources are ordered as a whole, so one task sees one short row per source.
+    The sources are ordered as a whole, so one task sees one short row per source: meant for up to some
+    millions of sources.
     """
     by_key, by_level = Window.orderBy("key"), Window.orderBy("level", "key")
     turn = (F.row_number().over(by_key) - 1) % len(weights)
@@ -63,14 +64,20 @@ def source_targets(sizes: DataFrame, *, weights: tuple[int, ...] = WEIGHTS, shar
     return s.select("key", "source_size", F.least("most", F.coalesce(F.col("lambda") * F.col("w"), F.col("most"))).alias("target"))
 
 
+def buckets(rows: int) -> int:
+    """Buckets of one source and size class: a power of two that follows the rows of the table."""
+    return max(SPREAD, 1 << max(0, -(-rows // BUCKET_ROWS) - 1).bit_length())
+
+
 def with_copies(sized: DataFrame, counted: DataFrame, *, weights: tuple[int, ...] = WEIGHTS, share: float = SHARE, most: float = MOST, seed: int = SEED) -> DataFrame:
-    """Add ``source_size, target, copies`` to rows with ``__key, __size, __class, __hash, __id``; ``counted`` are the same rows, narrow."""
-    groups = counted.groupBy("__key", "__class", (F.col("__hash") % SPREAD).alias("__bucket")).agg(F.count(F.lit(1)).alias("n"), F.sum("__size").alias("size"))
+    """Add ``source_size, target, copies`` to rows with the columns of ``PLAN``; ``counted`` are the same rows, narrow."""
+    spread = buckets(counted.count())
+    groups = counted.groupBy("__key", "__class", (F.col("__hash") % spread).alias("__bucket")).agg(F.count(F.lit(1)).alias("n"), F.sum("__size").alias("size"))
     targets = source_targets(groups.groupBy(F.col("__key").alias("key")).agg(F.sum("size").alias("source_size")), weights=weights, share=share, most=most)
     before = Window.partitionBy("__key").orderBy("__class", "__bucket").rowsBetween(Window.unboundedPreceding, -1)
     groups = groups.withColumn("before", F.coalesce(F.sum("n").over(before), F.lit(0))).join(targets.withColumnRenamed("key", "__key"), "__key").drop("n", "size")
-    rows = sized.withColumn("__bucket", F.col("__hash") % SPREAD).join(groups, ["__key", "__class", "__bucket"])
-    own = Window.partitionBy("__key", "__class", "__bucket").orderBy("__size", "__hash", "__id")
+    rows = sized.withColumn("__bucket", F.col("__hash") % spread).join(groups, ["__key", "__class", "__bucket"])
+    own = Window.partitionBy("__key", "__class", "__bucket").orderBy("__size", "__hash", "__id", "__tie")
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
     place = F.col("before") + F.row_number().over(own)
     start = hash32(F.col("__key"), seed) / F.lit(4294967296.0)
@@ -79,11 +86,11 @@ def with_copies(sized: DataFrame, counted: DataFrame, *, weights: tuple[int, ...
 
 
 def keyed(docs: DataFrame, id_col: str, text_col: str, source_col: str, seed: int) -> DataFrame:
-    out = docs.withColumn("__key", source_key(F.col(source_col))).withColumn("__size", word_count(F.col(text_col))).withColumn("__id", F.col(id_col))
+    out = docs.withColumn("__tie", F.xxhash64(text_col)).withColumn("__key", source_key(F.col(source_col))).withColumn("__size", word_count(F.col(text_col))).withColumn("__id", F.col(id_col))
     return out.withColumn("__class", size_class(F.col("__size"))).withColumn("__hash", hash32(F.col(id_col).cast("string"), seed))
 
 
-PLAN = ["__key", "__size", "__class", "__hash", "__id"]
+PLAN = ["__key", "__size", "__class", "__hash", "__id", "__tie"]
 
 
 def mix_plan(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: int = SEED, **rule) -> DataFrame:
@@ -91,7 +98,8 @@ def mix_plan(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
 
     A null source is a source of its own, last in order; null or empty texts have size 0 and follow
     the rate of their source; a source without words takes nothing.  Rows with equal ids count as
-    documents of their own.
+    documents of their own, ordered by a hash of their text, so that reruns agree.  Other columns are not
+    read.
     """
     sized = cut(keyed(docs.select(id_col, text_col, source_col), id_col, text_col, source_col, seed).select(*PLAN))
     out = with_copies(sized, sized, seed=seed, **rule)
@@ -99,7 +107,7 @@ def mix_plan(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
 
 
 def mix(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: int = SEED, **rule) -> DataFrame:
-    """The mixed corpus: each row as often as it was drawn, all columns as they were."""
+    """The mixed corpus: each row as often as it was drawn, all columns as they were; names that begin with ``__`` are ours."""
     counted = keyed(docs.select(id_col, text_col, source_col), id_col, text_col, source_col, seed).select(*PLAN)
     drawn = with_copies(keyed(docs, id_col, text_col, source_col, seed), counted, seed=seed, **rule).where("copies > 0")
     return drawn.withColumn("__copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).select(*docs.columns)
@@ -121,7 +129,7 @@ water AS (SELECT *, row_number() OVER l AS place,
           (1.5::DOUBLE * sum(s) OVER () - coalesce(sum(most) OVER (l ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)) / sum(w) OVER (l ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS la
           FROM lev WINDOW l AS (ORDER BY level, k)),
 tgt AS (SELECT k, s, least(most, coalesce((SELECT arg_min(la, place) FROM water WHERE la <= level) * w, most)) AS t FROM water),
-placed AS (SELECT classed.*, s, t, row_number() OVER (PARTITION BY k ORDER BY c, h % {SPREAD}, z, h, doc_id) AS place FROM classed JOIN tgt USING (k)),
+placed AS (SELECT classed.*, s, t, row_number() OVER (PARTITION BY k ORDER BY c, h % (SELECT greatest({SPREAD}, CAST(2 ** ceil(log2(greatest(1, ceil(count(*) / {BUCKET_ROWS}.0)))) AS BIGINT)) FROM sized), z, h, doc_id) AS place FROM classed JOIN tgt USING (k)),
 rated AS (SELECT *, CASE WHEN s > 0 THEN t / s ELSE 0 END AS rate, ('0x' || substr(md5('{SEED}:' || k), 1, 8))::BIGINT / 4294967296.0::DOUBLE AS u FROM placed),
 drawn AS (SELECT *, (floor(rate * place + u) - floor(rate * (place - 1) + u))::BIGINT AS copies FROM rated)"""
 
