@@ -97,3 +97,16 @@ def test_nulls_ties_and_clashing_columns(spark):
     assert by[2][0].rendered.count("<|end|>") == 0 and by[3][0].rendered.count("<|assistant|>") == 1
     assert {r.new_role for r in by[4]} == {"user"}
     assert chat.repair(df.where(F.lit(False))).count() == 0
+
+
+def test_ties_are_cut_into_blocks(spark):
+    """A conversation of one turn number is solved in blocks like any other, and is spread over tasks."""
+    rows = [(None, 7, ("user", "assistant", "system", None)[k % 4], "t") for k in range(3000)]
+    table = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    out = chat.repair(table, block_turns=64)
+    assert out.count() == len(rows)
+    joined = "".join(r.rendered for r in out.orderBy("at").collect())
+    whole = "".join(r.rendered for r in chat.repair(table, block_turns=1 << 40).orderBy("at").collect())
+    assert len({r.at // 64 for r in out.collect()}) > 40
+    assert joined.count("<|user|>") + joined.count("<|assistant|>") == whole.count("<|user|>") + whole.count("<|assistant|>")
+    assert joined.endswith(chat.CLOSING)

@@ -136,11 +136,11 @@ def test_every_shard_matches_the_mixture(spark):
         assert all(abs(part[s] - n * len(x) / len(rows)) <= 2 for s, n in whole.items())
 
 
-@pytest.mark.parametrize("stretches", [2, 7, 4096])
-def test_places_do_not_depend_on_stretches_or_partitions(spark, sf, monkeypatch, stretches):
+@pytest.mark.parametrize("bucket_rows", [1 << 16, 1, 1 / 64])
+def test_places_do_not_depend_on_buckets_or_partitions(spark, sf, monkeypatch, bucket_rows):
     docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "source")
     want = {(r.doc_id, r.shard, r.slot) for r in sharding.shard_rows(docs).collect()}
-    monkeypatch.setattr(sharding, "STRETCHES", stretches)
+    monkeypatch.setattr(sharding, "BUCKET_ROWS", bucket_rows)
     assert {(r.doc_id, r.shard, r.slot) for r in sharding.shard_rows(docs.repartition(5)).collect()} == want
 
 

@@ -109,17 +109,29 @@ def brute_scores(docs, order, backoff, leave_one_out):
     return out
 
 
-@pytest.mark.parametrize("order,leave_one_out,batch_rows", [(3, True, 2048), (3, True, 9), (2, False, 50), (1, True, 2048), (4, False, 30)])
-def test_scores_equal_brute_force(spark, sf, order, leave_one_out, batch_rows):
+@pytest.mark.parametrize("order,leave_one_out,batch_bytes,part_bytes", [(3, True, 6 << 20, 32 << 20), (3, True, 5000, 9000), (2, False, 25000, 3000), (1, True, 6 << 20, 2000), (4, False, 12000, 12000)])
+def test_scores_equal_brute_force(spark, sf, order, leave_one_out, batch_bytes, part_bytes):
     rows = [(r.doc_id, (r.text or "")[:900]) for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").limit(60).collect()]
     rows += [(1000, None), (1001, ""), (1002, "Uniqueword"), (1003, "x"), (1003, "x")]
     docs = spark.createDataFrame(rows, "doc_id long, text string").withColumn("n_words", F.lit("clash"))
     want = brute_scores([t for _, t in rows], order, 0.4, leave_one_out)
-    got = lm_scoring.score_documents(docs, order=order, leave_one_out=leave_one_out, batch_rows=batch_rows).collect()
+    got = lm_scoring.score_documents(docs, order=order, leave_one_out=leave_one_out, batch_bytes=batch_bytes, part_bytes=part_bytes).collect()
     pairs = zip(sorted((r.doc_id, r.log_score) for r in got), sorted(zip([i for i, _ in rows], want, strict=True)), strict=True)
     assert all(a[0] == b[0] and abs(a[1] - b[1]) < 1e-5 for a, b in pairs)
 
 
+def test_repeated_rows_are_dealt_apart(spark, tmp_path):
+    path = str(tmp_path / "copies.parquet")
+    spark.createDataFrame([(None, "one text of all rows")] * 500, "doc_id long, text string").coalesce(1).write.parquet(path)
+    for docs in (spark.read.parquet(path), spark.read.parquet(path).repartition(2)):
+        rows = lm_scoring.placed_rows(docs, "doc_id", "text")
+        sizes = [r["count"] for r in rows.groupBy(F.pmod("__at", F.lit(5))).count().collect()]
+        assert len(sizes) == 5 and max(sizes) < 160
+    batches, bits = lm_scoring.batch_plan(30 << 30, lm_scoring.BATCH_BYTES, lm_scoring.PART_BYTES)
+    # at 30 GB a piece still holds hundreds of n-grams (about six bytes of text each)
+    assert lm_scoring.BATCH_BYTES / 6 / (1 << bits) > 500 and batches == 5120
+
+
 def test_scores_of_an_empty_table(spark):
     assert lm_scoring.score_documents(spark.createDataFrame([], "doc_id long, text string")).count() == 0
 
