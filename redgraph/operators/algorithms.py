@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Observation
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from redgraph.functions.reduce import MAX, MIN, OR, ReduceOp
@@ -10,7 +10,7 @@ from redgraph.operators import superstep
 from redgraph.operators.graph import PropertyGraph, degrees, hubs, symmetrize
 from redgraph.operators.partition import Placed, assign
 from redgraph.operators.superstep import RunResult
-from redgraph.session import cut, told
+from redgraph.session import cut, cut_placed, fixed, scoped, task_count, told
 
 SCALE = 1_000_000_000_000
 
@@ -116,12 +116,22 @@ def wcc_levels(g: PropertyGraph, *, max_roots: int = 2, parts: int = 8, **option
     return out
 
 
-def _shares(g: PropertyGraph) -> tuple[DataFrame, DataFrame, int]:
-    """Edges with the out-degree of their source, vertices, and how many there are: prepared once."""
+def _shares(g: PropertyGraph) -> tuple[DataFrame, DataFrame, int, int]:
+    """Edges with the out-degree of their source and vertices, each placed once, how many vertices, and in how many parts.
+
+    Both are dealt by the id of the sending vertex and keep that placement, so a round ships folded shares only.
+    """
+    parts = task_count(g.edges.sparkSession)
     deg = g.edges.groupBy("src").agg(F.count(F.lit(1)).alias("outdeg"))
-    e = cut(g.edges.select("src", "dst").join(deg, "src").repartition("src"))
-    v = cut(g.ids().repartition("id"))
-    return e, v, v.count()
+    e = cut_placed(g.edges.select("src", "dst").join(deg, "src").repartition(parts, "src"), parts)
+    v = cut_placed(g.ids().repartition(parts, "id"), parts)
+    return e, v, v.count(), parts
+
+
+def _received(e: DataFrame, sent: DataFrame, share: Column) -> DataFrame:
+    """``id, acc``: the sum of what comes in; ``sent`` is placed like the edges, so only folded shares move."""
+    given = e.join(sent, F.col("src") == F.col("id")).select(F.col("dst").alias("to"), share.alias("part"))
+    return given.groupBy("to").agg(F.sum("part").alias("acc"))
 
 
 def pagerank_fixed(g: PropertyGraph, rounds: int = 10) -> DataFrame:
@@ -129,15 +139,14 @@ def pagerank_fixed(g: PropertyGraph, rounds: int = 10) -> DataFrame:
 
     Damping 85 of 100, start 1/N, the mass of vertices without out-edges is dropped.
     """
-    e, v, n = _shares(g)
-    base = 150_000_000_000 // n
-    rank = v.withColumn("rank", F.lit(SCALE // n).cast("long"))
-    for k in range(rounds):
-        given = e.join(rank.withColumnRenamed("id", "src"), "src").select(F.col("dst").alias("id"), F.expr("((rank div outdeg) * 85) div 100").alias("part"))
-        acc = given.groupBy("id").agg(F.sum("part").alias("acc"))
-        rank = v.join(acc, "id", "left").select("id", (F.lit(base) + F.coalesce("acc", F.lit(0))).cast("long").alias("rank"))
-        if k % 4 == 3:
-            rank = cut(rank)
+    e, v, n, parts = _shares(g)
+    base = 150_000_000_000 // n if n else 0
+    rank = v.withColumn("rank", F.lit(SCALE // max(n, 1)).cast("long"))
+    for _ in range(rounds):
+        with scoped(v.sparkSession, fixed(parts)):
+            acc = _received(e, rank, F.expr("((rank div outdeg) * 85) div 100"))
+            rank = v.join(acc, F.col("id") == F.col("to"), "left").select("id", (F.lit(base) + F.coalesce("acc", F.lit(0))).cast("long").alias("rank"))
+            rank = cut_placed(rank, parts)
     return rank
 
 
@@ -146,22 +155,22 @@ def pagerank(g: PropertyGraph, *, damping: float = 0.85, stop: str = "l1", tol:
 
     ``stop`` is ``l1`` or ``linf`` (change below ``tol``) or ``fixed``; ``dangling`` mass is dropped or spread.
     """
-    e, v, n = _shares(g)
-    rank = v.withColumn("rank", F.lit(1.0 / n))
+    e, v, n, parts = _shares(g)
+    rank = v.withColumn("rank", F.lit(1.0 / max(n, 1)))
+    n = max(n, 1)
     sinks = cut(v.join(e.select(F.col("src").alias("id")), "id", "left_anti")) if dangling == "spread" else None
     result = RunResult(rank)
     for _ in range(max_iter):
         lost = 0.0
         if sinks is not None:
             lost = rank.join(sinks, "id", "left_semi").agg(F.sum("rank")).first()[0] or 0.0
-        given = e.join(rank.withColumnRenamed("id", "src"), "src").select(F.col("dst").alias("id"), (F.col("rank") / F.col("outdeg")).alias("part"))
-        acc = given.groupBy("id").agg(F.sum("part").alias("acc"))
-        new = rank.withColumnRenamed("rank", "old").join(acc, "id", "left").withColumn("rank", F.lit((1 - damping) / n + damping * lost / n) + F.lit(damping) * F.coalesce("acc", F.lit(0.0)))
+        acc = _received(e, rank, F.col("rank") / F.col("outdeg"))
+        new = rank.select("id", F.col("rank").alias("old")).join(acc, F.col("id") == F.col("to"), "left").withColumn("rank", F.lit((1 - damping) / n + damping * lost / n) + F.lit(damping) * F.coalesce("acc", F.lit(0.0)))
         watch = Observation()
         gap = F.abs(F.col("rank") - F.col("old"))
-        rank = cut(new.observe(watch, F.sum(gap).alias("l1"), F.max(gap).alias("linf"), F.sum("rank").alias("mass")).select("id", "rank"))
+        rank = cut_placed(new.observe(watch, F.sum(gap).alias("l1"), F.max(gap).alias("linf"), F.sum("rank").alias("mass")).select("id", "rank"), parts)
         counts = told(watch)
-        if not counts and n:
+        if not counts and not rank.isEmpty():
             raise RuntimeError("a round of ranks did not tell its change")
         result.rounds.append(counts)
         if stop != "fixed" and counts.get(stop, 0.0) < tol:
@@ -172,16 +181,16 @@ def pagerank(g: PropertyGraph, *, damping: float = 0.85, stop: str = "l1", tol:
 
 def pagerank_delta(g: PropertyGraph, *, damping: float = 0.85, tol: float = 1e-9, max_iter: int = 200) -> RunResult:
     """Ranks by residuals: only vertices whose pending change exceeds ``tol`` send, until none does."""
-    e, v, n = _shares(g)
-    state = cut(v.select("id", F.lit(0.0).alias("rank"), F.lit((1 - damping) / n).alias("residual")))
+    e, v, n, parts = _shares(g)
+    n = max(n, 1)
+    state = cut_placed(v.select("id", F.lit(0.0).alias("rank"), F.lit((1 - damping) / n).alias("residual")), parts)
     result = RunResult(state)
     for _ in range(max_iter):
         active = F.col("residual") > tol
-        given = e.join(state.where(active).select(F.col("id").alias("src"), "residual"), "src").select(F.col("dst").alias("id"), (F.lit(damping) * F.col("residual") / F.col("outdeg")).alias("part"))
-        acc = given.groupBy("id").agg(F.sum("part").alias("acc"))
-        new = state.join(acc, "id", "left").select("id", (F.col("rank") + F.when(active, F.col("residual")).otherwise(0.0)).alias("rank"), (F.when(active, 0.0).otherwise(F.col("residual")) + F.coalesce("acc", F.lit(0.0))).alias("residual"))
+        acc = _received(e, state.where(active).select("id", "residual"), F.lit(damping) * F.col("residual") / F.col("outdeg"))
+        new = state.join(acc, F.col("id") == F.col("to"), "left").select("id", (F.col("rank") + F.when(active, F.col("residual")).otherwise(0.0)).alias("rank"), (F.when(active, 0.0).otherwise(F.col("residual")) + F.coalesce("acc", F.lit(0.0))).alias("residual"))
         watch = Observation()
-        state = cut(new.observe(watch, F.sum((F.col("residual") > tol).cast("long")).alias("active"), F.sum("residual").alias("pending")))
+        state = cut_placed(new.observe(watch, F.sum((F.col("residual") > tol).cast("long")).alias("active"), F.sum("residual").alias("pending")), parts)
         counts = told(watch) or {"active": state.where(active).count()}
         result.rounds.append(counts)
         if not counts["active"]:
@@ -234,3 +243,64 @@ def match_path(g: PropertyGraph, k: int) -> DataFrame:
     for _ in range(k - 1):
         count = g.edges.join(count.withColumnRenamed("id", "dst"), "dst").groupBy(F.col("src").alias("id")).agg(F.sum("walks").alias("walks"))
     return count
+
+
+def match_pattern(g: PropertyGraph, pattern: list[tuple[str, str]], *, ordered: list[tuple[str, str]] = (), induced: bool = False) -> DataFrame:
+    """Subgraph matching: one row per image of a small directed pattern, a column per pattern vertex.
+
+    ``pattern`` lists edges between named vertices, each after the first touching one that came before.
+    Different names are different vertices; ``ordered`` pairs ``(a, b)`` demand a < b, which keeps one image
+    of a symmetric pattern.  A pattern edge between known vertices is a semi-join, any other one a join
+    along the edges.  With ``induced`` no other edge may join the matched vertices.
+    """
+    e = cut(g.edges.where("src <> dst").select("src", "dst").distinct())
+    found, names = None, []
+    for a, b in pattern:
+        step = e.select(F.col("src").alias(a), F.col("dst").alias(b))
+        new = [x for x in (a, b) if x not in names]
+        on = [x for x in (a, b) if x in names]
+        if found is None:
+            found = step
+        elif not on:
+            raise ValueError(f"the edge {a}-{b} touches no vertex before it")
+        else:
+            found = found.join(step, on, "left_semi" if not new else "inner")
+        for x in new:
+            for y in names:
+                if {x, y} != {a, b}:
+                    found = found.where(F.col(x) != F.col(y))
+            names.append(x)
+        for x, y in ordered:
+            if x in names and y in names and (x in new or y in new):
+                found = found.where(F.col(x) < F.col(y))
+    if induced:
+        for x in names:
+            for y in names:
+                if x != y and (x, y) not in pattern:
+                    found = found.join(e.select(F.col("src").alias(x), F.col("dst").alias(y)), [x, y], "left_anti")
+    return found.select(*names)
+
+
+def edge_of(g: PropertyGraph, pairs: DataFrame) -> DataFrame:
+    """The edges of pairs ``src, dst``: the look-up that a neighbour loop without an edge variable has to make."""
+    return pairs.select("src", "dst").join(g.edges, ["src", "dst"])
+
+
+def weights_by_search(g: PropertyGraph, w: str = "w") -> DataFrame:
+    """Per vertex the sum of its edges' ``w``, each edge searched by its two ends (the traversal that edge iteration replaces)."""
+    neighbours = g.edges.groupBy("src").agg(F.collect_set("dst").alias("of")).select("src", F.explode("of").alias("dst"))
+    return edge_of(g, neighbours).groupBy(F.col("src").alias("id")).agg(F.sum(w).alias("total"))
+
+
+def weights_by_iteration(g: PropertyGraph, w: str = "w") -> DataFrame:
+    """The same by going over the edges themselves: one grouping, no look-up."""
+    return g.edges.groupBy(F.col("src").alias("id")).agg(F.sum(w).alias("total"))
+
+
+def global_reduce(rows: DataFrame, column: str, op: str) -> DataFrame:
+    """One value folded over all vertices or edges: sum, product, min, max, and, or; one row ``value``."""
+    c = F.col(column)
+    fold = {"sum": F.sum(c), "product": F.product(c), "min": F.min(c), "max": F.max(c), "and": F.bool_and(c), "or": F.bool_or(c)}
+    if op not in fold:
+        raise ValueError(f"unknown reduction {op}")
+    return rows.agg(fold[op].alias("value"))

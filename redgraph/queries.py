@@ -199,7 +199,10 @@ query("pagerank_delta", f"SELECT id, round(rank, 6) AS rank FROM ({pagerank_sql(
 query("pagerank_spread")(lambda s, d: _rounded(al.pagerank(graph(s, d, "cust_supp"), tol=1e-6, dangling="spread").df, 6))
 
 
-@query("pagerank_error")
+_GAP = f"SELECT abs(a.rank - b.rank / 1e12::DOUBLE) AS g FROM ({pagerank_sql(CUST_SUPP, 10, True)}) a JOIN ({pagerank_sql(CUST_SUPP, 10)}) b USING (id)"
+
+
+@query("pagerank_error", f"SELECT round(sum(g), 6) AS l1, round(max(g), 8) AS linf FROM ({_GAP}) q")
 def pagerank_error(spark, d):
     """L1 and largest difference of double ranks to the exact fixed-point ones."""
     g = graph(spark, d, "cust_supp")
@@ -431,6 +434,36 @@ query("uniform_edges")(lambda s, d: generate.uniform(s, 1000, 8000).edges)
 query("connected_rmat", "SELECT CAST(1 AS BIGINT) AS components")(lambda s, d: connected_components(gr.connect(generate.rmat(s, 8, 2)).edges).agg(F.count_distinct("component").alias("components")))
 query("random_weights")(lambda s, d: gr.random_weights(graph(s, d, "user_hop"), 1, 100, 3, "r").edges)
 
+query("global_reduce", f"SELECT CAST(sum(w) AS BIGINT) AS value FROM ({TRADE}) q")(lambda s, d: al.global_reduce(graph(s, d, "trade").edges, "w", "sum"))
+query("weights_by_search", f"SELECT src AS id, CAST(sum(w) AS BIGINT) AS total FROM ({CUST_SUPP}) q GROUP BY src")(lambda s, d: al.weights_by_search(graph(s, d, "cust_supp")))
+query("weights_by_iteration", f"SELECT src AS id, CAST(sum(w) AS BIGINT) AS total FROM ({CUST_SUPP}) q GROUP BY src")(lambda s, d: al.weights_by_iteration(graph(s, d, "cust_supp")))
+query("edge_of", f"SELECT src, dst, w FROM ({USER_HOP}) q WHERE dst = (src + 1) % 150")(lambda s, d: (lambda g: al.edge_of(g, g.ids().select(F.col("id").alias("src"), ((F.col("id") + 1) % 150).alias("dst"))))(graph(s, d, "user_hop")))
+_DIAMOND = [("a", "b"), ("a", "c"), ("b", "d"), ("c", "d")]
+query("match_diamond", f"WITH e AS MATERIALIZED ({USER_HOP}) SELECT p.src AS id, count(*) AS matches FROM e p JOIN e q ON q.src = p.src AND p.dst < q.dst JOIN e r ON r.src = p.dst JOIN e s ON s.src = q.dst AND s.dst = r.dst WHERE r.dst <> p.src AND r.dst <> q.dst AND r.dst <> p.dst GROUP BY p.src")(
+    lambda s, d: al.match_pattern(graph(s, d, "user_hop"), _DIAMOND, ordered=[("b", "c")]).groupBy(F.col("a").alias("id")).agg(F.count(F.lit(1)).alias("matches"))
+)
+query("within_hour", "SELECT x.user_id AS src, y.user_id AS dst, count(*) AS n FROM events x JOIN events y ON y.ts > x.ts AND y.ts <= x.ts + INTERVAL '3600' SECOND AND x.user_id <> y.user_id GROUP BY 1, 2")(lambda s, d: tables.within(s, d, 3600))
+
+
+@query("latest_before", "SELECT o_orderkey AS id, o_custkey AS user_id, max(event_id) FILTER (ts = top) AS event_id FROM (SELECT o_orderkey, o_custkey, event_id, ts, max(ts) OVER (PARTITION BY o_orderkey) AS top FROM orders LEFT JOIN events ON user_id = o_custkey AND ts <= o_orderdate) q GROUP BY 1, 2")
+def latest_before(spark, d):
+    """As-of join: each order with the last event before it of the user that has the customer's number."""
+    orders = tables.read_table(spark, d, "orders").select(F.col("o_custkey").alias("user_id"), F.col("o_orderdate").alias("ts"), F.col("o_orderkey").alias("id"))
+    return tables.latest_before(orders, tables.read_table(spark, d, "events").select("user_id", "ts", "event_id"), "user_id", "ts", "event_id")
+
+
+query("degree_quantiles", f"SELECT CAST(quantile_cont(n, 0.5) AS DOUBLE) AS p50, CAST(quantile_cont(n, 0.9) AS DOUBLE) AS p90, CAST(quantile_cont(n, 0.99) AS DOUBLE) AS p99 FROM (SELECT count(*) AS n FROM ({CUST_SUPP}) q GROUP BY src) t")(
+    lambda s, d: gr.degrees(graph(s, d, "cust_supp")).where("out_degree > 0").agg(*[F.percentile("out_degree", F.lit(p)).alias(f"p{round(100 * p)}") for p in (0.5, 0.9, 0.99)])
+)
+query("vertices_sketch", f"SELECT count(DISTINCT src) AS exact, true AS close FROM ({EVENT_CHAIN}) q")(
+    lambda s, d: graph(s, d, "event_chain").edges.agg(F.count_distinct("src").alias("exact"), F.hll_sketch_estimate(F.hll_sketch_agg("src", F.lit(12))).alias("about")).select("exact", (F.abs(F.col("about") - F.col("exact")) <= 0.05 * F.col("exact")).alias("close"))
+)
+query("page_hosts", "SELECT regexp_extract(url, '://([^/?#:]+)', 1) AS host, count(*) AS pages FROM pages GROUP BY 1")(lambda s, d: tables.read_table(s, d, "pages").groupBy(F.parse_url("url", F.lit("HOST")).alias("host")).agg(F.count(F.lit(1)).alias("pages")))
+query("event_props", "SELECT event_type, CAST(sum(CAST(json_extract(props, '$.k') AS BIGINT)) AS BIGINT) AS k, count(DISTINCT CAST(json_extract(props, '$.k') AS BIGINT)) AS kinds FROM events GROUP BY 1")(
+    lambda s, d: tables.read_table(s, d, "events").select("event_type", F.from_json("props", "k long").alias("p")).groupBy("event_type").agg(F.sum("p.k").alias("k"), F.count_distinct("p.k").alias("kinds"))
+)
+
+
 # streams ---------------------------------------------------------------------------------------
 
 query("stream_activity", "SELECT time_bucket(INTERVAL '1 day', ts, TIMESTAMP '1970-01-01') AS start, user_id, count(*) AS n FROM events GROUP BY 1, 2")(

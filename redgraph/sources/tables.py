@@ -6,9 +6,11 @@ Only the columns named are read.  Every builder has the same graph as a DuckDB q
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
 
 from redgraph.operators.graph import PropertyGraph, encode_ids
+from redgraph.session import staged, task_count
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -62,8 +64,55 @@ def edge_sql(name: str, duck: bool = True, *, width: int = 30, first: int | None
     return text
 
 
+def followed(rows: DataFrame, by: list[str], value: str, name: str) -> DataFrame:
+    """``rows`` with ``name``: the ``value`` of the next row of the whole order ``by``.
+
+    The order is cut into ranges, one per task; each finds the next row inside, and the last row of a
+    range takes the first one of the next range that has rows.  That table has one row per task.
+    """
+    spark = rows.sparkSession
+    parts = staged(rows.repartitionByRange(task_count(spark), *by).withColumn("__part", F.spark_partition_id()), "order-ranges")
+    firsts = parts.groupBy("__part").agg(F.min_by(value, F.struct(*by)).alias("__first"))
+    after = firsts.select("__part", F.lead("__first").over(Window.orderBy("__part")).alias("__after"))  # one row per task
+    inside = parts.withColumn(name, F.lead(value).over(Window.partitionBy("__part").orderBy(*by)))
+    return inside.join(F.broadcast(after), "__part").withColumn(name, F.coalesce(name, "__after")).drop("__part", "__after")
+
+
+def hops(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The edges of ``user_hop`` without a sort in one task."""
+    events = followed(read_table(spark, sf_dir, "events").select("user_id", "value", "ts", "event_id"), ["ts", "event_id"], "user_id", "nxt")
+    kept = events.where("nxt IS NOT NULL AND nxt <> user_id")
+    return kept.groupBy(F.col("user_id").alias("src"), F.col("nxt").alias("dst")).agg((F.min(F.round(F.col("value") * 100)).cast("long") + 1).alias("w"))
+
+
+def within(spark: SparkSession, sf_dir: str, seconds: int) -> DataFrame:
+    """Interval join: users whose event follows another user's by at most ``seconds``, and how often: ``src, dst, n``.
+
+    Time is cut into stretches of that length; an event enters its own stretch and is asked for in its own
+    and the one before, so that pairs within reach meet on an equal key.
+    """
+    e = read_table(spark, sf_dir, "events").select("user_id", F.expr("cast(cast(cast(ts - timestamp_ntz '1970-01-01 00:00:00' as interval second) as decimal(18, 6)) * 1000000 as long)").alias("t"))
+    reach = seconds * 1_000_000
+    cell = F.floor(F.col("t") / reach)
+    early = e.select(F.col("user_id").alias("src"), F.col("t").alias("a"), F.explode(F.array(cell, cell + 1)).alias("cell"))
+    late = e.select(F.col("user_id").alias("dst"), F.col("t").alias("b"), cell.alias("cell"))
+    return early.join(late, "cell").where(F.col("src") != F.col("dst")).where((F.col("b") > F.col("a")) & (F.col("b") - F.col("a") <= reach)).groupBy("src", "dst").agg(F.count(F.lit(1)).alias("n"))
+
+
+def latest_before(left: DataFrame, right: DataFrame, key: str, time: str, value: str) -> DataFrame:
+    """As-of join: rows ``key, time, id`` of ``left`` with the ``value`` of the last row of ``right`` at or before that time.
+
+    Both sides are put in one order per key; equal times count as before, of equal ones the largest value.
+    """
+    both = right.select(key, time, F.lit(0).alias("__side"), F.col(value).alias("__seen"), F.lit(None).cast("long").alias("id")).unionByName(left.select(key, time, F.lit(1).alias("__side"), F.lit(None).cast(dict(right.dtypes)[value]).alias("__seen"), "id"))
+    order = Window.partitionBy(key).orderBy(time, "__side", "__seen").rowsBetween(Window.unboundedPreceding, 0)
+    return both.withColumn(value, F.last("__seen", ignorenulls=True).over(order)).where("__side = 1").select("id", key, value)
+
+
 def graph(spark: SparkSession, sf_dir: str, name: str, **options) -> PropertyGraph:
     """A graph of ``SQL`` by name; ``grid`` takes ``width`` and ``first`` (only smaller customer keys)."""
+    if name == "user_hop":
+        return PropertyGraph(hops(spark, sf_dir), meta={"name": name})
     text = edge_sql(name, duck=False, **options)
     for table in ("lineitem", "orders", "events", "customer", "supplier", "nation", "conversations", "documents"):
         if table in text:
@@ -84,12 +133,12 @@ def page_links(spark: SparkSession, sf_dir: str) -> tuple[PropertyGraph, DataFra
 def similar_embeddings(spark: SparkSession, sf_dir: str, least: float = 0.4, per_block: int = 256) -> PropertyGraph:
     """Pairs of vectors with a cosine of at least ``least``, both ways.
 
-    All pairs are asked for, so blocks of vectors meet blocks: each pair of blocks is one matrix product
+    All pairs are asked for, so the work is quadratic in the vectors (2,000 at sf0.1): meant for tables of
+    up to some hundred thousand.  Blocks of vectors meet blocks: each pair of blocks is one matrix product
     in one task, and only its entries above the bound leave it.
     """
     import numpy as np
     import pandas as pd
-    from pyspark.sql import functions as F
 
     rows = read_table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("v"))
     n = rows.count()
