@@ -1,14 +1,15 @@
 """Benchmark decontamination with suffix arrays over the training text.
 
 Each task cuts its training rows into shards of bounded size, builds a suffix array over the words
-of a shard and binary-searches every suffix of every benchmark item in it, which yields the longest
-verbatim match of that suffix and all its locations.  Windows of ``window`` consecutive item words
-(an item with fewer words is one window) mark the training words that they cover.
+of a shard and binary-searches every suffix of every benchmark item in it.  Windows of ``window``
+consecutive item words (an item with fewer words is one window) mark the training words that they cover.
+Suffixes that begin with one window share its search; from there each of them is followed at every
+location for as long as the words agree, which yields its longest verbatim matches.
 
 The array is sparse: a match of ``window`` words can only start where that many words in a row occur
-in the benchmark at all, so other positions are left out before sorting.  Suffixes compare up to the
-length of the longest item, the most that a search can ask for.  Words compare by a 64-bit hash;
-words inside hits are compared byte by byte afterwards.
+in the benchmark at all, so other positions are left out before sorting.  It is sorted by the words of
+a window, the part that is searched.  Words compare by a 64-bit hash; words inside hits are compared
+byte by byte afterwards.
 
 There is no shuffle: benchmark items travel to the rows, in blocks of at most ``block_bytes``.
 """
@@ -43,10 +44,11 @@ class Block:
     item_of: np.ndarray  # item number of each of them
     place: np.ndarray  # its place in the item
     items: list[str]
-    start: np.ndarray  # distinct suffixes that are searched: place in ``words``
-    length: np.ndarray  # words of the suffix
-    width: np.ndarray  # words of the window at its start, 0 if it is shorter than a window
-    owner_from: np.ndarray  # windows to items, as compressed rows
+    start: np.ndarray  # distinct windows: place in ``words`` of the first suffix that begins with it
+    width: np.ndarray  # words of the window
+    suffix_from: np.ndarray  # windows to all suffixes that begin with them, as compressed rows
+    suffixes: np.ndarray
+    owner_from: np.ndarray  # windows to items, likewise
     owners: np.ndarray
     least: int  # shortest window
     short: np.ndarray  # by word id: shortest window that starts with the word
@@ -66,7 +68,7 @@ class Block:
         vocabulary = np.array(sorted(names), np.uint64)
         words, item_of, place = [], [], []
         found: dict[bytes, int] = {}
-        start, length, width, owners = [], [], [], []
+        start, width, suffixes, owners = [], [], [], []
         short = np.full(len(vocabulary) + 1, window, np.int64)
         at = 0
         for i, h in enumerate(per_item):
@@ -82,19 +84,18 @@ class Block:
                 if key not in found:
                     found[key] = len(start)
                     start.append(at + j)
-                    length.append(len(h) - j)
                     width.append(w)
+                    suffixes.append([])
                     owners.append([])
                 k = found[key]
-                if len(h) - j > length[k]:
-                    start[k], length[k] = at + j, len(h) - j
+                suffixes[k].append(at + j)
                 if not owners[k] or owners[k][-1] != i:
                     owners[k].append(i)
             at += len(h) + 1
         flat = lambda xs, kind: np.concatenate(xs).astype(kind) if xs else np.empty(0, kind)
         return Block(
             vocabulary, [names[x] for x in vocabulary.tolist()], flat(words, np.int32), flat(item_of, np.int64), flat(place, np.int64), [r[0] for r in rows],
-            np.array(start, np.int64), np.array(length, np.int64), np.array(width, np.int64), np.cumsum([0, *map(len, owners)]), flat([np.array(o) for o in owners], np.int64),
+            np.array(start, np.int64), np.array(width, np.int64), np.cumsum([0, *map(len, suffixes)]), flat([np.array(s) for s in suffixes], np.int64), np.cumsum([0, *map(len, owners)]), flat([np.array(o) for o in owners], np.int64),
             min(width, default=window), short,
         )
 
@@ -172,11 +173,14 @@ def narrowed(word: np.ndarray, suffixes: np.ndarray, ids: np.ndarray, run: np.nd
 
 
 def search_shard(block: Block, chunk: Chunk, window: int) -> dict[str, list]:
-    """Word, hit and item counts of each document of a shard, with its longest matches."""
+    """Word, hit and item counts of each document of a shard.
+
+    ``spans`` has a row for each longest match: document, item, word of the item, word of the document, length.
+    """
     buf = FOLD[chunk.buf]
     starts, ends, first = Chunk(chunk.row, buf, chunk.cuts).words(ALNUM)
     n_words = np.diff(first)
-    out = {"n_words": n_words.tolist(), "n_hit": [0] * chunk.n, "items": [[] for _ in range(chunk.n)], "cover": [[] for _ in range(chunk.n)], "spans": [[] for _ in range(chunk.n)]}
+    out = {"n_words": n_words.tolist(), "n_hit": [0] * chunk.n, "items": [[] for _ in range(chunk.n)], "cover": [[] for _ in range(chunk.n)], "spans": np.empty((0, 5), np.int64)}
     if not len(starts) or not len(block.start):
         return out
     h = word_hashes(buf, starts, ends)
@@ -186,7 +190,7 @@ def search_shard(block: Block, chunk: Chunk, window: int) -> dict[str, list]:
         found = _search(block, ids, first, window)
         if found is None:
             return out
-        at, query, cover, longest = found
+        at, query, cover = found
         wrong = [i for i in np.flatnonzero(cover).tolist() if buf[starts[i] : ends[i]].tobytes() != block.spelling[ids[i] - 1]]
         if not wrong:
             break
@@ -199,6 +203,10 @@ def search_shard(block: Block, chunk: Chunk, window: int) -> dict[str, list]:
     for p, n in zip(opens.tolist(), (hit[np.append(opens[1:], len(cover))] - hit[opens]).tolist(), strict=True):
         d = int(np.searchsorted(first, p, side="right")) - 1
         out["cover"][d].append((int(p - first[d]), n))
+    s, p, length = longest_matches(block, ids, first, at, query)
+    d = np.searchsorted(first, p, side="right") - 1
+    spans = np.stack([d, block.item_of[s], block.place[s], p - first[d], length], axis=1)
+    out["spans"] = spans[np.lexsort(spans.T[::-1])]
     doc = np.searchsorted(first, at, side="right") - 1
     pairs = np.unique(doc * len(block.start) + query)
     doc, query = pairs // len(block.start), pairs % len(block.start)
@@ -207,10 +215,6 @@ def search_shard(block: Block, chunk: Chunk, window: int) -> dict[str, list]:
     both = np.unique(np.repeat(doc, many) * len(block.items) + block.owners[index])
     for x in both.tolist():
         out["items"][x // len(block.items)].append(block.items[x % len(block.items)])
-    for p, q, length in longest:
-        d = int(np.searchsorted(first, p, side="right")) - 1
-        s = int(block.start[q])
-        out["spans"][d].append((block.items[int(block.item_of[s])], int(block.place[s]), int(p - first[d]), int(length)))
     return out
 
 
@@ -223,34 +227,60 @@ def _search(block: Block, ids: np.ndarray, first: np.ndarray, window: int):
     at = np.flatnonzero((run >= block.least) & (run >= block.short[ids]) & (ids > 0))
     if not len(at):
         return None
-    suffixes = sparse_suffix_array(ids, run, at, int(block.length.max()), len(block.vocabulary))
+    suffixes = sparse_suffix_array(ids, run, at, int(block.width.max()), len(block.vocabulary))
     live = np.arange(len(block.start))
     lo, hi = np.zeros(len(live), np.int64), np.full(len(live), len(suffixes), np.int64)
-    places, queries, longest = [], [], []
+    places, queries = [], []
     depth = 0
     while len(live):
-        going = block.length[live] > depth
-        word = np.where(going, block.words[np.minimum(block.start[live] + depth, len(block.words) - 1)], -1)
-        a, b = narrowed(word, suffixes, ids, run, depth, lo, hi)
-        over = ~going | (a >= b)
-        for k in np.flatnonzero(over & (depth >= block.width[live])).tolist():
-            q, s = live[k], block.start[live[k]]
-            for p in suffixes[lo[k] : hi[k]].tolist():
-                if not (p and ids[p - 1] and s and block.words[s - 1] == ids[p - 1] and p not in first[:-1]):
-                    longest.append((p, q, depth))
-        live, lo, hi = live[~over], a[~over], b[~over]
+        lo, hi = narrowed(block.words[block.start[live] + depth], suffixes, ids, run, depth, lo, hi)
         depth += 1
-        for k in np.flatnonzero(block.width[live] == depth).tolist():
+        there = lo < hi
+        for k in np.flatnonzero(there & (block.width[live] == depth)).tolist():
             p = suffixes[lo[k] : hi[k]]
             places.append(p)
             queries.append(np.full(len(p), live[k]))
+        there &= block.width[live] > depth
+        live, lo, hi = live[there], lo[there], hi[there]
     if not places:
         return None
     at, query = np.concatenate(places), np.concatenate(queries)
     edge = np.zeros(n + 1, np.int64)
     np.add.at(edge, at, 1)
     np.add.at(edge, at + block.width[query], -1)
-    return at, query, np.cumsum(edge[:-1]) > 0, longest
+    return at, query, np.cumsum(edge[:-1]) > 0
+
+
+def longest_matches(block: Block, ids: np.ndarray, first: np.ndarray, at: np.ndarray, query: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Item place, document place and length of every match that no further word on either side extends.
+
+    ``query`` are the windows found and ``at`` where.  A suffix and a location with the same word before them
+    are the rest of a longer match, so only pairs with different words before them are formed at all.
+    """
+    opening = np.zeros(len(ids) + 1, bool)
+    opening[first] = True
+    before = np.where(opening[at] | (ids[at - 1] == 0), -1, ids[at - 1])  # a border equals no word
+    order = np.lexsort((before, query))
+    at, before, query = at[order], before[order], query[order]
+    windows, begins = np.unique(query, return_index=True)
+    pairs = [(np.empty(0, np.int64),) * 3]
+    for k, a, b in zip(windows.tolist(), begins.tolist(), np.append(begins[1:], len(query)).tolist(), strict=True):
+        s = block.suffixes[block.suffix_from[k] : block.suffix_from[k + 1]]
+        left = block.words[s - 1]  # the 0 behind an item stands before the next one, and the last before the first
+        for x in np.unique(left).tolist():
+            c, d = a + np.searchsorted(before[a:b], [x, x + 1])
+            p, some = np.concatenate([at[a:c], at[d:b]]), s[left == x]
+            pairs.append((np.repeat(some, len(p)), np.tile(p, len(some)), np.full(len(p) * len(some), block.width[k])))
+    s, p, length = (np.concatenate(x) for x in zip(*pairs, strict=True))
+    limit = first[np.searchsorted(first, p, side="right")] - p
+    going = np.arange(len(s))
+    while len(going):
+        n = length[going]
+        inside = n < limit[going]
+        word = ids[np.minimum(p[going] + n, len(ids) - 1)]
+        going = going[inside & (word > 0) & (word == block.words[s[going] + n])]
+        length[going] += 1
+    return s, p, length
 
 
 def benchmark_blocks(benchmark: DataFrame, id_col: str, text_col: str, block_bytes: int) -> Iterator[list[tuple[str, str | None]]]:
@@ -271,7 +301,9 @@ def match_benchmark(
 ) -> DataFrame:
     """Per training row: ``id, n_words, n_hit, items`` (sorted), ``cover`` (runs of hit words) and ``spans``.
 
-    ``spans`` holds, for each benchmark suffix, its longest match and where that lies.
+    ``spans`` holds the longest matches of every benchmark suffix and where they lie: each verbatim match of
+    at least a window that no further word on either side extends, once per item and location.  A row's spans
+    depend on no other row.
 
     Null or empty texts have no words and no hits; a null item id counts as the empty string; equal
     items are all listed; other columns are not read.  With several blocks a row's hit words are
@@ -307,6 +339,13 @@ def _joined(parts: list[DataFrame]) -> DataFrame:
     return every.groupBy("__row").agg(F.max("n_words").alias("n_words"), merged.alias("n_hit"), items.alias("items"), runs.alias("cover"), F.flatten(F.collect_list("spans")).alias("spans"))
 
 
+def _span_lists(spans: np.ndarray, n: int, items: list[str]) -> pa.Array:
+    """Rows of ``spans``, ordered by document, as one list a document."""
+    columns = [pa.array(items, pa.string()).take(pa.array(spans[:, 1])), *(pa.array(spans[:, k], pa.int32()) for k in (2, 3, 4))]
+    offsets = pa.array(np.searchsorted(spans[:, 0], np.arange(n + 1)), pa.int32())
+    return pa.ListArray.from_arrays(offsets, pa.StructArray.from_arrays(columns, names=["item_id", "item_word", "doc_word", "length"]))
+
+
 def _matcher(shared, window: int):
     def match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         block = shared.value if shared is not None else Block.of([], window)
@@ -320,7 +359,7 @@ def _matcher(shared, window: int):
                     [
                         batch.column(0).slice(chunk.row, n), pa.array(found["n_words"], pa.int64()), pa.array(found["n_hit"], pa.int64()), pa.array([sorted(x) for x in found["items"]], pa.list_(pa.string())),
                         pa.array([[dict(zip(("doc_word", "length"), s, strict=True)) for s in x] for x in found["cover"]], pa.list_(pa.struct([("doc_word", pa.int32()), ("length", pa.int32())]))),
-                        pa.array([[dict(zip(("item_id", "item_word", "doc_word", "length"), s, strict=True)) for s in x] for x in found["spans"]], pa.list_(pa.struct([("item_id", pa.string()), ("item_word", pa.int32()), ("doc_word", pa.int32()), ("length", pa.int32())]))),
+                        _span_lists(found["spans"], n, block.items),
                     ],
                     names=[names[0], "n_words", "n_hit", "items", "cover", "spans"],
                 )

@@ -53,6 +53,34 @@ def test_longest_matches_and_locations(spark):
     assert spans == [(2, 12, 1), (15, 11, 0)]
 
 
+def longest(docs, items, window=10):
+    """All matches of a window or more that cannot be extended, by looking at every pair of places."""
+    out = set()
+    for d, t in docs:
+        w = words(t)
+        for i, u in items:
+            v = words(u)
+            for a in range(len(w)):
+                for b in range(len(v)):
+                    if a and b and w[a - 1] == v[b - 1]:
+                        continue
+                    n = 0
+                    while a + n < len(w) and b + n < len(v) and w[a + n] == v[b + n]:
+                        n += 1
+                    if n and n >= min(window, len(v)):
+                        out.add((d, str(i), b, a, n))
+    return out
+
+
+@pytest.mark.parametrize("block_bytes", [1 << 20, 100])
+def test_every_suffix_has_its_longest_matches(spark, block_bytes):
+    head = "a b c d e f g h i j"
+    docs = [*DOCS, (10, f"{head} p q r s"), (11, f"y {head} p q r s x {head} x y t u v {head}"), (12, f"{head} x")]
+    items = [*ITEMS, (10, f"{head} p q r s"), (11, f"{head} x y z t u"), (12, f"o {head} x y t {head} p")]
+    got = dec.match_benchmark(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"), block_bytes=block_bytes).collect()
+    assert sorted((r.doc_id, s.item_id, s.item_word, s.doc_word, s.length) for r in got for s in r.spans) == sorted(longest(docs, items))
+
+
 def test_empty_tables(spark):
     docs, bench = spark.createDataFrame(DOCS, "doc_id long, text string"), spark.createDataFrame(ITEMS, "item_id long, text string")
     assert dec.match_benchmark(docs.where(F.lit(False)), bench).count() == 0
