@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from redgraph.functions.reduce import MIN, ReduceOp
 from redgraph.operators import local_engine
 from redgraph.operators.local_engine import COUNTS, MAIL, SCHEMA, STATE
-from redgraph.operators.mailbox import ENTRY_BYTES, emit
+from redgraph.operators.mailbox import ENTRY_BYTES
 from redgraph.operators.partition import Placed
 from redgraph.session import cut_placed, fixed, scoped, told
 
@@ -78,14 +78,15 @@ def run(
     state = cut_placed(owned.select("part", "id", "val", F.col("val").isNotNull().alias("changed")).repartitionById(placed.parts, "part"), placed.parts)
     result = RunResult(state)
     rounds = 1 if mode == "short_circuit" else max_local_rounds if mode == "bounded_pulse" else None
+    steps = _Steps(placed, expression, op)
     changed = None  # not counted before the first round
     for k in range(max_rounds):
         watch = Observation()
         small = changed is not None and changed <= SMALL_FRONTIER and traversal != "edge"
         if mode in ("uncombined", "plain"):
-            new, seen = _mail_round(placed, state, expression, op, mode == "plain", watch, small)
+            new, seen = steps.mail_round(state, mode == "plain", watch, small)
         else:
-            new, seen = _pulse_round(placed, state, expression, op, rounds, batch_size, watch)
+            new, seen = steps.pulse_round(state, rounds, batch_size, watch)
         if explain and not k:
             with scoped(state.sparkSession, fixed(placed.parts)):
                 result.plan = new._jdf.queryExecution().toString()
@@ -103,47 +104,57 @@ def run(
     return result
 
 
-def _merged(state: DataFrame, updates: DataFrame, op: ReduceOp, watch: Observation) -> DataFrame:
-    """State joined with its updates ``part, id, own, mail, more``: both sides are placed, so nothing moves."""
-    u = updates.select(F.col("part").alias("up"), F.col("id").alias("ui"), "own", "mail", "more")
-    both = state.join(u, (F.col("part") == F.col("up")) & (F.col("id") == F.col("ui")), "left")
-    fold = lambda a, b: F.when(a.isNull(), b).when(b.isNull(), a).otherwise(op.merge(a, b))
-    both = both.withColumn("base", fold(F.col("val"), F.col("own")))
-    both = both.withColumn("new", fold(F.col("base"), F.col("mail")))
-    by_mail = ~F.col("new").eqNullSafe(F.col("base"))
-    out = both.select("part", "id", F.col("new").alias("val"), (by_mail | F.coalesce("more", F.lit(False))).alias("changed"), by_mail.alias("by_mail"))
-    out = out.observe(watch, F.sum(F.col("changed").cast("long")).alias("changed"), F.sum(F.col("by_mail").cast("long")).alias("by_mail"))
-    return out.select("part", "id", "val", "changed")
-
-
-def _mail_round(placed: Placed, state: DataFrame, expression: str, op: ReduceOp, combine: bool, watch: Observation, small: bool) -> tuple[DataFrame, Observation]:
-    """Expand, fold and merge with DataFrame operators only."""
-    seen = Observation()
-    value = EXPRESSIONS[expression](F.col("val"), F.col("w"))
-    mail = emit(state.where("changed").select("part", "id", "val"), placed, value, small=small)
-    if combine:
-        mail = mail.groupBy("from_part", "to_part", "dst").agg(op.agg(F.col("val")).alias("val"), F.count(F.lit(1)).alias("n"))
-    else:
-        mail = mail.withColumn("n", F.lit(1).cast("long"))
-    near = F.when(F.col("from_part") == F.col("to_part"), F.col("n")).otherwise(0)
-    mail = mail.observe(seen, F.sum("n").alias("generated"), F.sum(near).alias("local"), F.sum(F.col("n") - near).alias("remote_raw"), F.count(F.lit(1)).alias("queued"))
-    sent = mail.select(F.col("to_part").alias("part"), F.col("dst").alias("id"), "val").repartitionById(placed.parts, "part")
-    got = sent.groupBy("part", "id").agg(op.agg(F.col("val")).alias("mail"))
-    return _merged(state, got.select("part", "id", F.lit(None).cast("long").alias("own"), "mail", F.lit(False).alias("more")), op, watch), seen
-
-
-def _pulse_round(placed: Placed, state: DataFrame, expression: str, op: ReduceOp, rounds: int | None, batch_size: int, watch: Observation) -> tuple[DataFrame, Observation]:
-    """Run each owner's local rounds in one task, ship what leaves it, merge."""
-    seen = Observation()
-    at, worst = op.at, op.worst
-
-    def work(key: tuple[pa.Scalar, ...], mine: pa.Table, edges: pa.Table) -> pa.Table:
-        return local_engine.pulse(key[0].as_py(), mine, edges, expression, at, worst, rounds, batch_size)
-
-    out = state.groupBy("part").cogroup(placed.edges.groupBy("part")).applyInArrow(work, SCHEMA)
-    names = ("generated", "local", "remote_raw", "queued", "accepted", "batches")
-    out = out.observe(seen, *[F.sum(n).alias(n) for n in names], F.max("rounds").alias("local_rounds"))
-    # the row of counters travels too: an exchange without rows would be dropped with what was observed below it
-    sent = out.select("kind", "part", "id", "val", "more").repartitionById(placed.parts, "part").where(F.col("kind") != COUNTS)
-    got = sent.groupBy("part", "id").agg(op.agg(F.when(F.col("kind") == STATE, F.col("val"))).alias("own"), op.agg(F.when(F.col("kind") == MAIL, F.col("val"))).alias("mail"), F.max("more").alias("more"))
-    return _merged(state, got, op, watch), seen
+class _Steps:
+    """The columns of a round over ``placed``, built once per run: planning a round then takes few calls on the driver."""
+
+    def __init__(self, placed: Placed, expression: str, op: ReduceOp):
+        self.placed, self.expression, self.op = placed, expression, op
+        fold = lambda a, b: F.when(a.isNull(), b).when(b.isNull(), a).otherwise(op.merge(a, b))
+        base = fold(F.col("val"), F.col("own"))
+        new = fold(base, F.col("mail"))
+        by_mail = ~new.eqNullSafe(base)
+        self.owned = (F.col("part") == F.col("up")) & (F.col("id") == F.col("ui"))
+        self.after = [F.col("part"), F.col("id"), new.alias("val"), (by_mail | F.coalesce("more", F.lit(False))).alias("changed"), by_mail.alias("by_mail")]
+        self.counts = [F.sum(F.col(n).cast("long")).alias(n) for n in ("changed", "by_mail")]
+        self.edges = placed.edges.withColumnRenamed("part", "from_part").withColumnRenamed("dst_part", "to_part")
+        self.leaving = (F.col("part") == F.col("from_part")) & (F.col("id") == F.col("src"))
+        self.ends = [F.col(n) for n in ("from_part", "to_part", "dst")]
+        self.value = EXPRESSIONS[expression](F.col("val"), F.col("w"))
+        self.folded = [op.agg(self.value).alias("val"), F.count(F.lit(1)).alias("n")]
+        near = F.when(F.col("from_part") == F.col("to_part"), F.col("n")).otherwise(0)
+        self.mail_counts = [F.sum("n").alias("generated"), F.sum(near).alias("local"), F.sum(F.col("n") - near).alias("remote_raw"), F.count(F.lit(1)).alias("queued")]
+        self.sent = [F.col("to_part").alias("up"), F.col("dst").alias("ui"), F.col("val").alias("sent")]
+        self.got = op.agg(F.col("sent")).alias("mail")
+        self.nothing = [F.col("up"), F.col("ui"), F.lit(None).cast("long").alias("own"), F.col("mail"), F.lit(False).alias("more")]
+        kind = lambda k, name: op.agg(F.when(F.col("kind") == k, F.col("val"))).alias(name)
+        self.both = [kind(STATE, "own"), kind(MAIL, "mail"), F.max("more").alias("more")]
+        names = ("generated", "local", "remote_raw", "queued", "accepted", "batches")
+        self.pulse_counts = [*[F.sum(n).alias(n) for n in names], F.max("rounds").alias("local_rounds")]
+        self.out = [F.col("kind"), F.col("part").alias("up"), F.col("id").alias("ui"), F.col("val"), F.col("more")]
+
+    def merged(self, state: DataFrame, updates: DataFrame, watch: Observation) -> DataFrame:
+        """State joined with its updates ``up, ui, own, mail, more``: both sides are placed, so nothing moves."""
+        both = state.join(updates, self.owned, "left")
+        return both.select(*self.after).observe(watch, *self.counts).select("part", "id", "val", "changed")
+
+    def mail_round(self, state: DataFrame, combine: bool, watch: Observation, small: bool) -> tuple[DataFrame, Observation]:
+        """Expand, fold and merge with DataFrame operators only; a small frontier is looked up from the edges."""
+        seen = Observation()
+        frontier = state.where("changed").select("part", "id", "val")
+        rows = (F.broadcast(frontier) if small else frontier).join(self.edges, self.leaving)
+        mail = rows.groupBy(*self.ends).agg(*self.folded) if combine else rows.select(*self.ends, self.value.alias("val"), F.lit(1).cast("long").alias("n"))
+        sent = mail.observe(seen, *self.mail_counts).select(*self.sent).repartitionById(self.placed.parts, "up")
+        return self.merged(state, sent.groupBy("up", "ui").agg(self.got).select(*self.nothing), watch), seen
+
+    def pulse_round(self, state: DataFrame, rounds: int | None, batch_size: int, watch: Observation) -> tuple[DataFrame, Observation]:
+        """Run each owner's local rounds in one task, ship what leaves it, merge."""
+        seen = Observation()
+        expression, at, worst = self.expression, self.op.at, self.op.worst
+
+        def work(key: tuple[pa.Scalar, ...], mine: pa.Table, edges: pa.Table) -> pa.Table:
+            return local_engine.pulse(key[0].as_py(), mine, edges, expression, at, worst, rounds, batch_size)
+
+        out = state.groupBy("part").cogroup(self.placed.edges.groupBy("part")).applyInArrow(work, SCHEMA).observe(seen, *self.pulse_counts)
+        # the row of counters travels too: an exchange without rows would be dropped with what was observed below it
+        sent = out.select(*self.out).repartitionById(self.placed.parts, "up").where(F.col("kind") != COUNTS)
+        return self.merged(state, sent.groupBy("up", "ui").agg(*self.both), watch), seen
