@@ -5,7 +5,9 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
+from redgraph.functions.reduce import MIN
 from redgraph.operators import algorithms as al
+from redgraph.operators import mailbox
 from redgraph.operators.graph import PropertyGraph
 from redgraph.session import fixed, scoped
 from redgraph.sources import tables
@@ -43,3 +45,47 @@ def test_a_round_of_ranks_ships_shares_only(spark, sf):
         acc = al._received(e, v.withColumn("rank", F.lit(1.0)), F.col("rank") / F.col("outdeg"))
         plan = v.join(acc, F.col("id") == F.col("to"), "left")._jdf.queryExecution().executedPlan().toString()
     assert plan.count("Exchange hashpartitioning") == 1, plan
+
+
+def test_diamonds_are_counted_without_listing_them(spark):
+    rng = random.Random(5)
+    edges = [(rng.randrange(12), rng.randrange(12), 1) for _ in range(70)] + [(3, 3, 1), (0, 1, 1), (0, 1, 2)]
+    g = PropertyGraph(spark.createDataFrame(edges, "src long, dst long, w long"))
+    listed = al.match_pattern(g, [("a", "b"), ("a", "c"), ("b", "d"), ("c", "d")], ordered=[("b", "c")]).groupBy("a").count()
+    want = {r.a: r["count"] for r in listed.collect()}
+    for per_row in (4096, 2):  # a hub's list in several rows
+        counted = al.diamonds(g, per_row)
+        assert {r.id: r.matches for r in counted.collect()} == want
+        assert counted._jdf.queryExecution().analyzed().toString().count("Join Inner") == 1, "only the step to the middles' targets"
+
+
+def test_blocks_of_all_queues_travel_at_once(spark, monkeypatch):
+    rng = random.Random(6)
+    mail = [(rng.randrange(3), k % 4, k, rng.randrange(1000)) for k in (rng.randrange(400) for _ in range(3000))]
+    state = [(k % 4, k, rng.choice([None, rng.randrange(1000)])) for k in range(300)]
+    m = spark.createDataFrame(mail, "from_part int, to_part int, dst long, val long")
+    st = spark.createDataFrame(state, "part int, id long, val long")
+    want = {tuple(r) for r in mailbox.sync_batched(m, st, MIN, 4).collect()}
+    jobs = []
+    monkeypatch.setattr("redgraph.session.cut", lambda df: jobs.append(df) or df.checkpoint())
+    got = mailbox.sync_chunks(m, st, MIN, 4, 7)
+    assert sorted(tuple(r) for r in got.collect()) == sorted(want)
+    assert len(jobs) <= 1, "no job for each block"
+    assert mailbox.sync_chunks(m.limit(0), st, MIN, 4, 7).count() == len(state)
+
+
+def test_pairs_within_a_time_are_counted_in_blocks(spark, tmp_path, monkeypatch):
+    rng = random.Random(7)
+    rows = [(k, rng.randrange(25), rng.randrange(0, 20_000) * 500_000 + rng.randrange(2) * 3) for k in range(700)] + [(900, None, 5), (901, 3, None)]
+    e = spark.createDataFrame(rows, "event_id long, user_id long, t long")
+    e.select("event_id", "user_id", F.expr("timestamp_ntz '2024-01-01 00:00:00' + make_dt_interval(0, 0, 0, t / 1000000)").alias("ts")).write.parquet(f"{tmp_path}/events.parquet")
+    want = {}
+    for _, u, a in rows:
+        for _, v, b in rows:
+            if None not in (u, v, a, b) and u != v and a < b <= a + 60_000_000:
+                want[u, v] = want.get((u, v), 0) + 1
+    for name, size in (("_USERS", 7), ("_EVENTS", 20), ("_PAIRS", 5)):
+        monkeypatch.setattr(tables, name, size)
+    found = tables.within(spark, str(tmp_path), 60)
+    assert {(r.src, r.dst): r.n for r in found.collect()} == want
+    assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
