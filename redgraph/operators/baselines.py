@@ -18,7 +18,7 @@ from redgraph.operators import local_engine
 from redgraph.operators.graph import PropertyGraph
 from redgraph.operators.local_engine import KERNELS, MAIL, SCHEMA
 from redgraph.operators.mailbox import lock_cycles
-from redgraph.operators.partition import Placed, assign
+from redgraph.operators.partition import Placed, assign, working
 from redgraph.operators.superstep import RunResult, run
 from redgraph.session import cut, cut_placed, told
 
@@ -43,13 +43,13 @@ def _replica_pulse(part: int, state: pa.Table, edges: pa.Table, kernel: str, at,
     return out.set_column(0, "kind", pa.array(kind))
 
 
-def mirror_sync(g: PropertyGraph, start: DataFrame, *, expression: str = "plus_weight", op: ReduceOp = MIN, parts: int = 8, scheme: str = "block", weight: str | None = "w", style: str = "fixpoint", max_rounds: int = 10_000) -> RunResult:
+def mirror_sync(g: PropertyGraph, start: DataFrame, *, expression: str = "plus_weight", op: ReduceOp = MIN, parts: int | None = None, scheme: str = "block", weight: str | None = "w", style: str = "fixpoint", max_rounds: int = 10_000) -> RunResult:
     """Masters and mirrors: two exchanges per phase, counted as ``reduce_msgs`` and ``bcast_msgs``.
 
     ``style='push'`` does one local round per phase instead of a local fixed point.
     """
     p = assign(g, parts, scheme, weight=weight)
-    own = p.of
+    own, parts = p.of, p.parts
     ends = p.edges.select("part", F.col("src").alias("id")).unionByName(p.edges.select("part", F.col("dst").alias("id")))
     masters = p.vertices.select("part", "id")
     replicas = cut_placed(ends.unionByName(masters).distinct().withColumn("home", own(F.col("id"))).repartitionById(parts, "part"), parts)
@@ -58,6 +58,7 @@ def mirror_sync(g: PropertyGraph, start: DataFrame, *, expression: str = "plus_w
     result = RunResult(state)
     at, worst = op.at, op.worst
     limit = 1 if style == "push" else None
+    busy = None
 
     def work(key, mine: pa.Table, edges: pa.Table) -> pa.Table:
         if limit is None:
@@ -68,7 +69,8 @@ def mirror_sync(g: PropertyGraph, start: DataFrame, *, expression: str = "plus_w
 
     for _ in range(max_rounds):
         seen, sent, back, watch = Observation(), Observation(), Observation(), Observation()
-        out = state.groupBy("part").cogroup(p.edges.groupBy("part")).applyInArrow(work, SCHEMA)
+        held, edges = working(busy, state, p.edges)
+        out = held.groupBy("part").cogroup(edges.groupBy("part")).applyInArrow(work, SCHEMA)
         out = cut(out.observe(seen, F.sum("generated").alias("generated"), F.max("rounds").alias("local_rounds"), F.sum("accepted").alias("accepted")))
         moved = out.where(F.col("kind") == MAIL).select("part", "id", "val", own(F.col("id")).alias("home"))
         moved = moved.observe(sent, F.sum((F.col("home") != F.col("part")).cast("long")).alias("reduce_msgs"))
@@ -84,8 +86,9 @@ def mirror_sync(g: PropertyGraph, start: DataFrame, *, expression: str = "plus_w
         value = F.coalesce("best", local)
         changed = ~value.eqNullSafe(local) if limit is None else ~value.eqNullSafe(F.col("val"))
         new = new.select("part", "id", "home", value.alias("val"), changed.alias("changed"))
-        state = cut_placed(new.observe(watch, F.sum(F.col("changed").cast("long")).alias("changed")), parts)
+        state = cut_placed(new.observe(watch, F.sum(F.col("changed").cast("long")).alias("changed"), F.collect_set(F.when(F.col("changed"), F.col("part"))).alias("busy")), parts)
         counts = told(seen) | told(sent) | told(back) | told(watch)
+        busy = counts.pop("busy", None) or None
         result.rounds.append(counts)
         if not (counts.pop("changed") if "changed" in counts else state.where("changed").count()):
             break
@@ -104,13 +107,15 @@ def master_worker(placed: Placed, start: DataFrame, *, expression: str = "plus_w
     state = cut_placed(placed.vertices.join(first, "id", "left").select("part", "id", "val", F.col("val").isNotNull().alias("changed")).repartitionById(placed.parts, "part"), placed.parts)
     result = RunResult(state)
     at, worst = op.at, op.worst
+    busy = None
 
     def work(key, mine: pa.Table, edges: pa.Table) -> pa.Table:
         return local_engine.pulse(key[0].as_py(), mine, edges, expression, at, worst, None, 1024)
 
     for _ in range(max_rounds):
         seen, watch, hub = Observation(), Observation(), Observation()
-        out = state.groupBy("part").cogroup(placed.edges.groupBy("part")).applyInArrow(work, SCHEMA)
+        held, edges = working(busy, state, placed.edges)
+        out = held.groupBy("part").cogroup(edges.groupBy("part")).applyInArrow(work, SCHEMA)
         out = cut(out.observe(seen, *[F.sum(n).alias(n) for n in ("generated", "local", "remote_raw", "queued", "accepted")], F.max("rounds").alias("local_rounds")))
         mail = out.where(F.col("kind") == MAIL).select("part", "id", "val").coalesce(1)
         mail = mail.observe(hub, F.count(F.lit(1)).alias("through_master")).groupBy("part", "id").agg(op.agg(F.col("val")).alias("mail"))
@@ -120,8 +125,9 @@ def master_worker(placed: Placed, start: DataFrame, *, expression: str = "plus_w
         base = F.coalesce("own", "val")
         value = F.when(base.isNull(), F.col("mail")).when(F.col("mail").isNull(), base).otherwise(op.merge(base, F.col("mail")))
         new = new.select("part", "id", value.alias("val"), (~value.eqNullSafe(base)).alias("changed"))
-        state = cut_placed(new.observe(watch, F.sum(F.col("changed").cast("long")).alias("changed")), placed.parts)
+        state = cut_placed(new.observe(watch, F.sum(F.col("changed").cast("long")).alias("changed"), F.collect_set(F.when(F.col("changed"), F.col("part"))).alias("busy")), placed.parts)
         counts = told(seen) | told(hub) | told(watch)
+        busy = counts.pop("busy", None) or None
         result.rounds.append(counts)
         if not (counts.pop("changed") if "changed" in counts else state.where("changed").count()):
             break

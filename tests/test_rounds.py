@@ -136,3 +136,25 @@ def test_ranks(spark):
     exact_, delta = al.pagerank(g, tol=1e-13).df, al.pagerank_delta(g, tol=1e-13).df
     want = {x.id: x["rank"] for x in exact_.collect()}
     assert all(abs(x["rank"] - want[x.id]) < 1e-9 for x in delta.collect())
+
+
+def test_owners_grow_with_the_edges_and_idle_ones_get_none(spark, monkeypatch):
+    rng = random.Random(11)
+    hubs = [(rng.randrange(4), rng.randrange(400), rng.randrange(1, 9)) for _ in range(900)]
+    edges = hubs + [(b, a, w) for a, b, w in hubs] + [(k, k + 1, 1) for k in range(1000, 1400)]
+    g = as_graph(spark, edges)
+    assert pt.assign(g, None, "block", weight="w").parts == 8
+    monkeypatch.setattr(pt, "OWNED", 100)
+    placed = pt.assign(g, None, "block", weight="w")
+    sizes = [r.edges for r in pt.partition_stats(placed).collect()]
+    assert placed.parts == 22 and max(sizes) <= 4 * 100 + max(sum(a == k for a, _, _ in edges) for k in range(4))
+    want = exact.dijkstra(edges, [0])
+    asked, real = [], superstep.working
+    monkeypatch.setattr(superstep, "working", lambda busy, *dfs: asked.append(busy) or real(busy, *dfs))
+    for mode, k in (("pulse", None), ("short_circuit", None), ("bounded_pulse", 2)):
+        assert values(al.sssp(g, 0, mode=mode, max_local_rounds=k)) == want
+    assert asked[0] is None and all(b is None or len(b) < placed.parts for b in asked) and any(asked)
+    start = al._seeds(g, [0], 0)
+    for style in ("fixpoint", "push"):
+        assert values(baselines.mirror_sync(g, start, style=style)) == want
+    assert values(baselines.master_worker(placed, start)) == want
