@@ -170,3 +170,14 @@ def test_patterns(spark):
     k4 = as_graph(spark, [(a, b, 1) for a in range(4) for b in range(4) if a != b])
     assert al.triangles(k4).first().triangles == 4
     assert {r.id: r.hops for r in al.khop(g, 0, 2).collect()} == {0: 0, 1: 1, 2: 1, 3: 2}
+
+
+def test_generated_graphs_have_an_edge_for_every_row_of_their_table(spark, sf):
+    from redgraph import queries
+    from redgraph.sources.tables import read_table
+
+    for name, table in (("rmat_edges", "events"), ("uniform_edges", "orders")):
+        made = queries.QUERIES[name](spark, sf)
+        assert made.count() == read_table(spark, sf, table).count() and made.inputFiles()
+    assert queries.QUERIES["connected_rmat"](spark, sf).first()[0] == 1
+    assert generate.scale_of(8192, 8) == 10 and generate.scale_of(8193, 8) == 11
