@@ -51,10 +51,12 @@ def mirror_sync(g: PropertyGraph, start: DataFrame, *, expression: str = "plus_w
     p = assign(g, parts, scheme, weight=weight)
     own, parts = p.of, p.parts
     ends = p.edges.select("part", F.col("src").alias("id")).unionByName(p.edges.select("part", F.col("dst").alias("id")))
-    masters = p.vertices.select("part", "id")
-    replicas = cut_placed(ends.unionByName(masters).distinct().withColumn("home", own(F.col("id"))).repartitionById(parts, "part"), parts)
+    replicas = ends.unionByName(p.vertices.select("part", "id")).distinct()
     first = start.select("id", F.col("val").cast("long").alias("val"))
-    state = cut_placed(replicas.join(first, "id", "left").select("part", "id", "home", "val", F.col("val").isNotNull().alias("changed")).repartitionById(parts, "part"), parts)
+    state = replicas.join(first, "id", "left").select("part", "id", own(F.col("id")).alias("home"), "val", F.col("val").isNotNull().alias("changed"))
+    state = cut_placed(state.repartitionById(parts, "part"), parts)
+    # which parts hold a replica, kept at the master
+    directory = cut_placed(state.select(F.col("home").alias("dh"), F.col("id").alias("di"), F.col("part").alias("bp")).repartitionById(parts, "dh"), parts)
     result = RunResult(state)
     at, worst = op.at, op.worst
     limit = 1 if style == "push" else None
@@ -68,18 +70,20 @@ def mirror_sync(g: PropertyGraph, start: DataFrame, *, expression: str = "plus_w
         return out.set_column(0, "kind", pa.array(np.where(out.column("kind").to_numpy() == local_engine.STATE, MAIL, out.column("kind").to_numpy()).astype(np.int32)))
 
     for _ in range(max_rounds):
-        seen, sent, back, watch = Observation(), Observation(), Observation(), Observation()
+        seen, back, watch = Observation(), Observation(), Observation()
         held, edges = working(busy, state, p.edges)
         out = held.groupBy("part").cogroup(edges.groupBy("part")).applyInArrow(work, SCHEMA)
-        out = cut(out.observe(seen, F.sum("generated").alias("generated"), F.max("rounds").alias("local_rounds"), F.sum("accepted").alias("accepted")))
-        moved = out.where(F.col("kind") == MAIL).select("part", "id", "val", own(F.col("id")).alias("home"))
-        moved = moved.observe(sent, F.sum((F.col("home") != F.col("part")).cast("long")).alias("reduce_msgs"))
-        best = moved.groupBy("id").agg(op.agg(F.col("val")).alias("best"))
-        old = state.where("part = home").select("id", F.col("val").alias("old"))
+        away = (F.col("kind") == MAIL) & (own(F.col("id")) != F.col("part"))
+        out = cut(out.observe(seen, *[F.sum(n).alias(n) for n in ("generated", "accepted")], F.max("rounds").alias("local_rounds"), F.sum(away.cast("long")).alias("reduce_msgs")))
+        moved = out.where(F.col("kind") == MAIL).select("part", "id", "val")
+        # to the master and back: only mail moves, masters and the directory stay where they are
+        mail = moved.select(own(F.col("id")).alias("up"), F.col("id").alias("ui"), "val").repartitionById(parts, "up")
+        best = mail.groupBy("up", "ui").agg(op.agg(F.col("val")).alias("best"))
+        old = state.where("part = home").select(F.col("part").alias("op_"), F.col("id").alias("oi"), F.col("val").alias("old"))
         fold = F.when(F.col("old").isNull(), F.col("best")).otherwise(op.merge(F.col("old"), F.col("best")))
-        improved = cut(best.join(old, "id").where(F.col("old").isNull() | (fold != F.col("old"))).select("id", fold.alias("best")))
-        directory = state.select("part", "id", "home")
-        told_ = directory.join(improved, "id").observe(back, F.sum((F.col("home") != F.col("part")).cast("long")).alias("bcast_msgs")).select(F.col("part").alias("bp"), F.col("id").alias("bi"), "best").repartitionById(parts, "bp")
+        improved = best.join(old, (F.col("up") == F.col("op_")) & (F.col("ui") == F.col("oi"))).where(F.col("old").isNull() | (fold != F.col("old"))).select("up", "ui", fold.alias("best"))
+        told_ = improved.join(directory, (F.col("up") == F.col("dh")) & (F.col("ui") == F.col("di"))).observe(back, F.sum((F.col("bp") != F.col("dh")).cast("long")).alias("bcast_msgs"))
+        told_ = told_.select("bp", F.col("ui").alias("bi"), "best").repartitionById(parts, "bp")
         mine = moved.select(F.col("part").alias("mp"), F.col("id").alias("mi"), F.col("val").alias("mv")).repartitionById(parts, "mp")
         new = state.join(told_, (F.col("part") == F.col("bp")) & (F.col("id") == F.col("bi")), "left").join(mine, (F.col("part") == F.col("mp")) & (F.col("id") == F.col("mi")), "left")
         local = F.coalesce("mv", "val")  # what the replica itself knows after its local rounds
@@ -87,7 +91,7 @@ def mirror_sync(g: PropertyGraph, start: DataFrame, *, expression: str = "plus_w
         changed = ~value.eqNullSafe(local) if limit is None else ~value.eqNullSafe(F.col("val"))
         new = new.select("part", "id", "home", value.alias("val"), changed.alias("changed"))
         state = cut_placed(new.observe(watch, F.sum(F.col("changed").cast("long")).alias("changed"), F.collect_set(F.when(F.col("changed"), F.col("part"))).alias("busy")), parts)
-        counts = told(seen) | told(sent) | told(back) | told(watch)
+        counts = told(seen) | told(back) | told(watch)
         busy = counts.pop("busy", None) or None
         result.rounds.append(counts)
         if not (counts.pop("changed") if "changed" in counts else state.where("changed").count()):

@@ -158,3 +158,15 @@ def test_owners_grow_with_the_edges_and_idle_ones_get_none(spark, monkeypatch):
     for style in ("fixpoint", "push"):
         assert values(baselines.mirror_sync(g, start, style=style)) == want
     assert values(baselines.master_worker(placed, start)) == want
+
+
+@pytest.mark.parametrize("style", ["fixpoint", "push"])
+def test_mirrors_write_once_between_pulse_and_state(spark, monkeypatch, style):
+    """A phase stores what the replicas found and the new state; masters and the directory of replicas are not stored or dealt again."""
+    stored = []
+    monkeypatch.setattr(baselines, "cut", lambda df: stored.append(df) or superstep.cut(df))
+    g = as_graph(spark, EDGES)
+    r = baselines.mirror_sync(g, al._seeds(g, [0], 0), parts=3, scheme="mod", style=style)
+    assert values(r) == exact.dijkstra(EDGES, [0])
+    assert len(stored) == len(r.rounds) > 2
+    assert r.total("reduce_msgs") > 0 and r.total("bcast_msgs") > 0 and r.rounds[-1]["reduce_msgs"] == 0
