@@ -14,10 +14,11 @@ from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from redgraph.functions.reduce import MIN, ReduceOp
-from redgraph.operators import local_engine
+from redgraph.operators import local_engine, packed
 from redgraph.operators.graph import PropertyGraph
 from redgraph.operators.local_engine import KERNELS, MAIL, SCHEMA
 from redgraph.operators.mailbox import lock_cycles
+from redgraph.operators.packed import Packed
 from redgraph.operators.partition import Placed, assign, working
 from redgraph.operators.superstep import RunResult, run
 from redgraph.session import cut, cut_placed, told
@@ -113,14 +114,21 @@ def master_worker(placed: Placed, start: DataFrame, *, expression: str = "plus_w
     at, worst = op.at, op.worst
     busy = None
 
+    blocks = isinstance(placed, Packed)
+    names = ("generated", "local", "remote_raw", "queued", "accepted")
+    told_ = {n: F.col("told")[k] if blocks else F.col(n) for k, n in enumerate(names)}
+    rounds = F.col("told")[len(packed.COUNTERS) - 1] if blocks else F.col("rounds")
+
     def work(key, mine: pa.Table, edges: pa.Table) -> pa.Table:
+        if blocks:
+            return packed.step(key[0].as_py(), mine, edges, expression, at, worst, "pulse", None, 1024)
         return local_engine.pulse(key[0].as_py(), mine, edges, expression, at, worst, None, 1024)
 
     for _ in range(max_rounds):
         seen, watch, hub = Observation(), Observation(), Observation()
-        held, edges = working(busy, state, placed.edges)
-        out = held.groupBy("part").cogroup(edges.groupBy("part")).applyInArrow(work, SCHEMA)
-        out = cut(out.observe(seen, *[F.sum(n).alias(n) for n in ("generated", "local", "remote_raw", "queued", "accepted")], F.max("rounds").alias("local_rounds")))
+        held, edges = working(busy, state, placed.blocks if blocks else placed.edges)
+        out = held.groupBy("part").cogroup(edges.groupBy("part")).applyInArrow(work, packed.OUT if blocks else SCHEMA)
+        out = cut(out.observe(seen, *[F.sum(c).alias(n) for n, c in told_.items()], F.max(rounds).alias("local_rounds")))
         mail = out.where(F.col("kind") == MAIL).select("part", "id", "val").coalesce(1)
         mail = mail.observe(hub, F.count(F.lit(1)).alias("through_master")).groupBy("part", "id").agg(op.agg(F.col("val")).alias("mail"))
         own = out.where(F.col("kind") == local_engine.STATE).select(F.col("part").alias("op_"), F.col("id").alias("oi"), F.col("val").alias("own")).repartitionById(placed.parts, "op_")
