@@ -91,3 +91,11 @@ def test_the_coordinator_query_takes_blocks(spark, sf, monkeypatch):
     want = tr.values(al.sssp(graph(spark, sf, "trade"), 0, mode="pulse"))
     monkeypatch.setattr(pt, "assign", never)
     assert {r.id: r.dist for r in queries.QUERIES["sssp_trade_master"](spark, sf).collect()} == want
+
+
+def test_the_query_of_costs_takes_blocks_placed_once(spark, sf, monkeypatch):
+    r = al.sssp(graph(spark, sf, "trade"), 0, mode="plain", parts=8)
+    monkeypatch.setattr(pt, "assign", never)
+    found = {(x.mode, x.name): x.value for x in queries.QUERIES["sssp_costs"](spark, sf).collect()}
+    assert len(found) == 52
+    assert {n: found["plain", n] for n in NAMES[:6]} == {n: r.total(n) for n in NAMES[:6]}
