@@ -99,3 +99,11 @@ def test_the_query_of_costs_takes_blocks_placed_once(spark, sf, monkeypatch):
     found = {(x.mode, x.name): x.value for x in queries.QUERIES["sssp_costs"](spark, sf).collect()}
     assert len(found) == 52
     assert {n: found["plain", n] for n in NAMES[:6]} == {n: r.total(n) for n in NAMES[:6]}
+
+
+def test_the_cube_builds_each_graph_once(spark, sf, monkeypatch):
+    r = al.sssp(graph(spark, sf, "trade"), 0, mode="plain")
+    monkeypatch.setattr(al, "assign", never)
+    found = {(x.algo, x.mode, x.graph): (x.value, x.n) for x in queries.QUERIES["counters_cube"](spark, sf).collect()}
+    assert found["sssp", "plain", "trade"] == (r.total("generated"), len(r.rounds))
+    assert found[None, None, None][0] == sum(found["sssp", m, g][0] for m in ("plain", "pulse") for g in ("trade", "user_hop"))
