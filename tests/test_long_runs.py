@@ -38,3 +38,19 @@ def test_the_whole_lattice_takes_few_jobs(spark, sf):
     jobs = len(spark.sparkContext.statusTracker().getJobIdsForGroup(None)) - len(before)
     assert len(r.rounds) > 40
     assert jobs < 4 * superstep.LONG
+
+
+def test_a_path_may_be_longer_than_any_constant(spark):
+    """One round for each vertex at most: a chain of 10,100 hops ended with an error before."""
+    n = 10_100
+    g = tr.as_graph(spark, [(i, i + 1, 1) for i in range(n)])
+    r = al.sssp(g, 0, mode="plain", parts=2)
+    assert len(r.rounds) == n + 1
+    assert sorted(tr.values(r).items()) == [(i, i) for i in range(n + 1)]
+
+
+def test_values_that_never_settle_are_refused(spark, monkeypatch):
+    monkeypatch.setattr(superstep, "LONG", 2)
+    g = tr.as_graph(spark, [(0, 1, -1), (1, 2, 0), (2, 0, 0)])
+    with pytest.raises(RuntimeError, match="no fixed point after 4 rounds"):
+        al.sssp(g, 0, mode="plain", parts=2, check=False)
