@@ -89,3 +89,16 @@ def test_pairs_within_a_time_are_counted_in_blocks(spark, tmp_path, monkeypatch)
     found = tables.within(spark, str(tmp_path), 60)
     assert {(r.src, r.dst): r.n for r in found.collect()} == want
     assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
+
+
+def test_pairs_within_a_time_are_not_exchanged(spark, tmp_path, monkeypatch):
+    """The result has a row for nearly all pairs of users: an exchange of their counts wrote them all to disk."""
+    rows = [(k, k % 40, k) for k in range(400)]
+    e = spark.createDataFrame(rows, "event_id long, user_id long, t long")
+    e.select("event_id", "user_id", F.expr("timestamp_ntz '2024-01-01 00:00:00' + make_dt_interval(0, 0, 0, t)").alias("ts")).write.parquet(f"{tmp_path}/events.parquet")
+    monkeypatch.setattr(tables, "_USERS", 9)
+    found = tables.within(spark, str(tmp_path), 3600)
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert "Aggregate" not in plan[: plan.index("RepartitionByExpression")]
+    assert found.count() == found.select("src", "dst").distinct().count() == 40 * 39
+    assert found.groupBy().sum("n").first()[0] == sum(a % 40 != b % 40 for a in range(400) for b in range(a + 1, 400))
